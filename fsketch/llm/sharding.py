@@ -123,8 +123,8 @@ with recursive bits(i, v, k) as (
 ), tab as (select list(v order by i) t from bits where k = 8
 ), base as (
   select doc_id, source, strlen(coalesce(text, ''))::BIGINT + 16 as size,
-    xor(list_reduce(list_prepend(4294967295::BIGINT, list_transform(range(strlen(coalesce(text, ''))),
-      lambda i: ('0x' || substr(hex(encode(coalesce(text, ''))), 2 * i + 1, 2))::BIGINT)),
+    xor(list_reduce(list_prepend(4294967295::BIGINT, list_transform(regexp_extract_all(hex(encode(coalesce(text, ''))), '..'),
+      lambda x: ('0x' || x)::BIGINT)),
       lambda a, b: xor(a // 256, t[1 + xor(a % 256, b)])), 4294967295)::BIGINT as text_crc32,
     ('0x' || substr(md5('17|' || coalesce(doc_id::VARCHAR, '')), 1, 15))::BIGINT as key
   from documents, tab
