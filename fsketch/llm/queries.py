@@ -2,9 +2,19 @@
 
 from __future__ import annotations
 
+from .bpe import op4_byte_bpe
 from .quality_rules import OP1_SQL, op1_quality_rules
 from .sharding import OP9_SQL, op9_sharding
+from .simhash import op10_simhash
+from .token_counts import op2_token_counts
 
-QUERIES = {"op1_quality_rules": op1_quality_rules, "op9_sharding": op9_sharding}
+QUERIES = {
+    "op1_quality_rules": op1_quality_rules,
+    "op2_token_counts": op2_token_counts,
+    "op4_byte_bpe": op4_byte_bpe,
+    "op9_sharding": op9_sharding,
+    "op10_simhash": op10_simhash,
+}
 
+#: The others are not expressible in SQL and are tested against brute force or exact round trips.
 ORACLE_SQL = {"op1_quality_rules": OP1_SQL, "op9_sharding": OP9_SQL}
