@@ -16,19 +16,21 @@ from pathlib import Path
 from pyspark.sql import DataFrame, SparkSession
 
 _written: list[tuple[SparkSession, str]] = []
-_own: dict[str, str] = {}
+_places: dict[str, str] = {}
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder in ``spark.checkpoint.dir``; one of our own only where that is unset (tests, one machine)."""
-    there = spark.conf.get("spark.checkpoint.dir", None)
-    if there:
-        return there.rstrip("/")
+    """URI of the folder in ``spark.checkpoint.dir``; one of our own only where that is unset (tests, one machine)."""
     app = spark.sparkContext.applicationId
-    if app not in _own:
-        _own[app] = "file://" + tempfile.mkdtemp(prefix="fsketch-")
-        spark.sparkContext.setCheckpointDir(_own[app])
-    return _own[app]
+    if app not in _places:
+        there = spark.conf.get("spark.checkpoint.dir", None)
+        if not there:
+            there = "file://" + tempfile.mkdtemp(prefix="fsketch-")
+            spark.sparkContext.setCheckpointDir(there)
+        path = spark._jvm.org.apache.hadoop.fs.Path(there)
+        uri = path.getFileSystem(spark._jsc.hadoopConfiguration()).makeQualified(path).toUri().toString().rstrip("/")
+        _places[app] = "file:///" + uri[6:].lstrip("/") if uri.startswith("file:/") else uri
+    return _places[app]
 
 
 def new_path(spark: SparkSession, tag: str) -> str:
