@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from .bpe import op4_byte_bpe
+from .decontamination import op6_decontamination
 from .quality_classifier import op5_quality_classifier
 from .quality_rules import OP1_SQL, op1_quality_rules
 from .sharding import OP9_SQL, op9_sharding
@@ -18,6 +19,7 @@ QUERIES = {
     "op3_url_filters": op3_url_filters,
     "op4_byte_bpe": op4_byte_bpe,
     "op5_quality_classifier": op5_quality_classifier,
+    "op6_decontamination": op6_decontamination,
     "op7_substring_dedup": op7_substring_dedup,
     "op8_warc": op8_warc,
     "op9_sharding": op9_sharding,
