@@ -264,20 +264,24 @@ class Searcher:
         return found
 
 
-def find_leaks(
-    docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text",
+LEAK = T.StructType([
+    T.StructField("item", T.LongType()), T.StructField("first_word", T.LongType()), T.StructField("cosine", T.DoubleType()),
+    T.StructField("lcs_share", T.DoubleType()), T.StructField("answer_share", T.DoubleType()),
+])
+_LEAKS = pa.list_(pa.struct([("item", pa.int64()), ("first_word", pa.int64()), ("cosine", pa.float64()), ("lcs_share", pa.float64()), ("answer_share", pa.float64())]))
+
+
+def mark_leaks(
+    docs: DataFrame, benchmark: DataFrame, text_col: str = "text", keep: tuple[str, ...] = ("doc_id",), item_col: str = "item_id", item_text_col: str = "text",
     answer_col: str | None = None, rank: int = RANK, least_cosine: float = LEAST_COSINE, block_passages: int = BLOCK_PASSAGES,
 ) -> DataFrame:
-    """(id, item, first_word, cosine, lcs_share, answer_share): one row per document and benchmark item found in it."""
+    """The kept columns and ``leaks``, an array of structs with one entry per benchmark item that the row's text holds."""
     spark = docs.sparkSession
     rows = passages(benchmark, item_col, item_text_col, answer_col)
     items = [(r.item, list(r.words), list(r.answer)) for r in rows.orderBy("item", "part").toLocalIterator()]  # the query set, in blocks
-    texts = docs.select(docs[id_col].alias(id_col), docs[text_col].alias("_text"))
-    schema = T.StructType([
-        texts.schema[id_col], T.StructField(item_col, T.LongType()), T.StructField("first_word", T.LongType()), T.StructField("cosine", T.DoubleType()),
-        T.StructField("lcs_share", T.DoubleType()), T.StructField("answer_share", T.DoubleType()),
-    ])
-    out = None
+    out = docs.select(*keep, docs[text_col].alias("_text"), F.array().cast(T.ArrayType(LEAK)).alias("leaks"))
+    names = [*keep, "_text", "leaks"]
+    schema = T.StructType([T.StructField(f.name, f.dataType) for f in out.schema.fields])
     for at in range(0, len(items), block_passages):
         block = items[at : at + block_passages]
         vocabulary = np.unique(np.concatenate([np.array(w, dtype=np.int64) for _, w, _ in block]).view(np.uint64))
@@ -286,23 +290,31 @@ def find_leaks(
         matrix = spark.createDataFrame([(w,) for _, w, _ in block], "words array<long>").repartition(4)
         loadings, _ = randomised_svd(matrix, vocabulary, idf, rank)
         sent = spark.sparkContext.broadcast((block, vocabulary, idf, loadings))
+        last = at + block_passages >= len(items)
 
-        def work(batches: Iterator[pa.RecordBatch], sent=sent) -> Iterator[pa.RecordBatch]:
+        def work(batches: Iterator[pa.RecordBatch], sent=sent, last=last) -> Iterator[pa.RecordBatch]:
             searcher = Searcher(*sent.value, least_cosine)
             for whole in batches:
                 for batch in slices(whole, "_text"):
                     h, owner = folded_words(text_bytes(batch.column("_text")))
-                    found = searcher.leaks(h, owner, batch.num_rows)
-                    if not found:
-                        continue
-                    keys, values = list(found), list(found.values())
-                    ids = batch.column(id_col).take(pa.array([t for t, _ in keys], type=pa.int64()))
-                    cols = [pa.array([v[k] for v in values], type=pa.int64() if k == 0 else pa.float64()) for k in range(4)]
-                    yield pa.RecordBatch.from_arrays([ids, pa.array([i for _, i in keys], type=pa.int64()), *cols], names=schema.names)
-
-        part = texts.mapInArrow(work, schema)
-        out = part if out is None else out.unionByName(part)
-    return out if out is not None else spark.createDataFrame([], schema)
+                    leaks = batch.column("leaks").to_pylist()
+                    for (text, item), (place, cosine, share, told) in searcher.leaks(h, owner, batch.num_rows).items():
+                        same = [x for x in leaks[text] if x["item"] == item]
+                        if same and same[0]["lcs_share"] >= share:
+                            continue
+                        leaks[text] = [x for x in leaks[text] if x["item"] != item] + [{"item": item, "first_word": place, "cosine": cosine, "lcs_share": share, "answer_share": told}]
+                    columns = [batch.column(c) for c in keep] + ([] if last else [batch.column("_text")]) + [pa.array(leaks, type=_LEAKS)]
+                    yield pa.RecordBatch.from_arrays(columns, names=[n for n in names if not (last and n == "_text")])
+
+        out = out.mapInArrow(work, T.StructType([f for f in schema.fields if not (last and f.name == "_text")]))
+    return out.select(*keep, "leaks")
+
+
+def find_leaks(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", item_col: str = "item_id", **settings) -> DataFrame:
+    """(id, item, first_word, cosine, lcs_share, answer_share): one row per document and benchmark item found in it."""
+    marked = mark_leaks(docs, benchmark, keep=(id_col,), item_col=item_col, **settings)
+    found = marked.select(id_col, F.explode("leaks").alias("leak"))
+    return found.select(id_col, F.col("leak.item").alias(item_col), *[F.col(f"leak.{c}").alias(c) for c in LEAK.names[1:]])
 
 
 def op6_decontamination(spark, sf_dir: str) -> DataFrame:

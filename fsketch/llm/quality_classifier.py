@@ -183,30 +183,43 @@ def remainder(id_col: str) -> Column:
     return F.crc32(F.coalesce(F.col(id_col).cast("string"), F.lit(""))) % 5
 
 
-def classify(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "quality", max_rows: int = MAX_ROWS, **settings) -> DataFrame:
-    """(id, score): fitted on labelled rows whose id's CRC is not divisible by five, applied to every row."""
-    stats = materialise(document_statistics(docs, id_col, text_col), "classifier-statistics")
+def fit_classifier(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "quality", max_rows: int = MAX_ROWS, **settings) -> Model | float:
+    """Fitted on labelled rows whose id's CRC is not divisible by five; a constant where there are not both classes."""
     usable = labels.select(F.col(id_col).alias("_id"), F.col(label_col).cast("int").alias("label"))
     usable = usable.where("_id is not null and label in (0, 1)").where(remainder("_id") != 0)
     # rows of least hash; the two classes are taken as they come
     chosen = usable.groupBy("_id").agg(F.max("label").alias("label")).withColumn("_h", F.xxhash64(F.lit(5), "_id")).orderBy("_h", "_id").limit(max_rows)
     chosen = materialise(chosen, "classifier-labels")
-    train = stats.join(F.broadcast(chosen), F.col(id_col) == F.col("_id"))  # at most max_rows narrow rows
-    train = materialise(train.dropDuplicates(["_id"]).select("stats", "label", (F.pmod("_h", F.lit(5)) == 0).alias("calibrate")), "classifier-rows")
+    labelled = docs.select(docs[id_col].alias("_doc"), docs[text_col].alias("_text")).join(F.broadcast(chosen), F.col("_doc") == F.col("_id"))  # at most max_rows narrow rows
+    stats = document_statistics(labelled.select(F.struct("_id", "label", "_h").alias("key"), "_text"), "key", "_text").select("key.*", "stats")
+    train = materialise(stats.dropDuplicates(["_id"]).select("stats", "label", (F.pmod("_h", F.lit(5)) == 0).alias("calibrate")), "classifier-rows")
     seen = train.groupBy("calibrate", "label").count().collect()
-    ones, all_ = sum(r["count"] for r in seen if r.label == 1), sum(r["count"] for r in seen)
-    if len({r.label for r in seen if not r.calibrate}) < 2 or len({r.label for r in seen if r.calibrate}) < 2:
-        return stats.select(id_col, F.lit(ones / all_ if all_ else 0.5).alias("score"))
-    model = fit(train, **settings)
-    schema = T.StructType([stats.schema[id_col], T.StructField("score", T.DoubleType())])
+    ones, everything = sum(r["count"] for r in seen if r.label == 1), sum(r["count"] for r in seen)
+    if any(len({r.label for r in seen if r.calibrate == c}) < 2 for c in (False, True)):
+        return ones / everything if everything else 0.5
+    return fit(train, **settings)
+
+
+def score_rows(docs: DataFrame, model: Model | float, text_col: str = "text", keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
+    """The kept columns and the score, per row."""
+    ship(docs.sparkSession)
+    rows = docs.select(*keep, docs[text_col].alias("_text"))
+    if not isinstance(model, Model):
+        return rows.select(*keep, F.lit(float(model)).alias("score"))
+    schema = T.StructType([*[rows.schema[c] for c in keep], T.StructField("score", T.DoubleType())])
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            x = b.column("stats").flatten().to_numpy(zero_copy_only=False).reshape(-1, len(STATISTICS))
-            got = [model.score(x[i : i + 8192]) for i in range(0, len(x), 8192)]
-            yield pa.RecordBatch.from_arrays([b.column(id_col), pa.array(np.concatenate(got) if got else np.zeros(0))], names=schema.names)
+        for whole in batches:
+            for batch in slices(whole, "_text"):
+                score = model.score(statistics(text_bytes(batch.column("_text"))))
+                yield pa.RecordBatch.from_arrays([*[batch.column(c) for c in keep], pa.array(score)], names=[*keep, "score"])
+
+    return rows.mapInArrow(work, schema)
+
 
-    return stats.mapInArrow(work, schema)
+def classify(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", **settings) -> DataFrame:
+    """(id, score) per row."""
+    return score_rows(docs, fit_classifier(docs, labels, id_col, text_col, **settings), text_col, (id_col,))
 
 
 def op5_quality_classifier(spark, sf_dir: str) -> DataFrame:
