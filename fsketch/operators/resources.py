@@ -42,8 +42,9 @@ def overlap_qubits() -> int:
 
 def grid(spark: SparkSession, ks: list[int], ds: list[int], bs: list[int], ps: list[int]) -> DataFrame:
     """(k, d, b, p, peak_qubits, joint_qubits, mixer_gates, cost_gates) for all combinations, by expressions."""
-    side = lambda name, values: spark.createDataFrame([(v,) for v in values], f"{name} int")
-    rows = side("k", ks).crossJoin(side("d", ds)).crossJoin(side("b", bs)).crossJoin(side("p", ps))
+    rows = spark.range(1)
+    for name, values in (("k", ks), ("d", ds), ("b", bs), ("p", ps)):
+        rows = rows.withColumn(name, F.explode(F.array(*[F.lit(v) for v in values])))
     index = F.greatest(F.lit(1), F.ceil(F.log2(F.col("b").cast("double"))).cast("int"))
     edges = F.when(F.col("d") > 2, F.col("d")).otherwise(F.col("d") - 1)
     return rows.select(
