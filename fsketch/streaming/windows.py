@@ -23,10 +23,18 @@ EVENTS = T.StructType([
 
 
 def events(spark: SparkSession, path: str, watermark: str = "1 day", **options) -> DataFrame:
-    rows = spark.readStream.schema(EVENTS).options(**options).parquet(path)
+    rows = source(spark, path, EVENTS, **options)
     return rows.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", watermark)
 
 
+def source(spark: SparkSession, path: str, schema: T.StructType, **options) -> DataFrame:
+    """A file stream over a folder, or over one file by way of its folder and its name."""
+    p = spark._jvm.org.apache.hadoop.fs.Path(path)
+    if p.getFileSystem(spark._jsc.hadoopConfiguration()).getFileStatus(p).isFile():
+        options["pathGlobFilter"], path = p.getName(), p.getParent().toString()
+    return spark.readStream.schema(schema).options(**options).parquet(path)
+
+
 def frequencies(m: int, seed: int = 42) -> list[float]:
     return [py_normal("w", seed, j, 0) for j in range(m)]
 
