@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-from functools import reduce
-
 import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -15,7 +13,10 @@ def feature_names(df: DataFrame, prefix: str = "x") -> list[str]:
 
 
 def total(terms: list[Column]) -> Column:
-    return reduce(lambda a, b: a + b, terms)
+    """Sum as a balanced tree: hundreds of terms stay shallow."""
+    while len(terms) > 1:
+        terms = [terms[i] + terms[i + 1] if i + 1 < len(terms) else terms[i] for i in range(0, len(terms), 2)]
+    return terms[0]
 
 
 def dot(cols: list[str], weights) -> Column:
