@@ -11,10 +11,12 @@ index with every rolling block of every document:
    dealt out by their least anchor, which keeps neighbours together; in a bucket they arrive in document order, so the
    first document that shows a window is the least. Every later document's window is a repeat, and runs of
    repeats extend to the maximal ones.
+
+   Before anything is dealt out, each slice settles what its own documents share: only the first of them goes on.
 3. The runs of each document are merged and cut out of its text.
 
 Memory in a bucket follows the number of distinct blocks or windows, not of their copies: a passage that a third of all
-documents share is one entry, past which rows stream. There are ``BUCKETS`` buckets per shuffle partition.
+documents share is one entry, past which one row per slice streams. There are ``BUCKETS`` buckets per shuffle partition.
 
 Defined cases: a null or empty text has no words; documents with a null id neither lose words nor count as earlier ones;
 rows with the same id are taken as copies of one document and all lose what it loses; an empty table gives an
@@ -112,15 +114,12 @@ _BLOBS = T.StructType([T.StructField("bucket", T.IntegerType()), T.StructField("
 def _anchor_blobs(rows: DataFrame, window: int, buckets: int) -> DataFrame:
     block = block_words(window)
 
-    def parts(h: np.ndarray, ids: np.ndarray, kind: int, out: list) -> None:
+    def parts(h: np.ndarray, ids: np.ndarray, kind: int, out: list, b: np.ndarray | None = None) -> None:
         if not len(h):
             return
-        b = _bucket(h, buckets)
+        b = _bucket(h, buckets) if b is None else b
         order = np.lexsort((h & _LOW, ids, b))
         h, ids, b = h[order], ids[order], b[order]
-        keep = np.ones(len(h), bool)  # a document sends a block once
-        keep[1:] = (h[1:] != h[:-1]) | (ids[1:] != ids[:-1])
-        h, ids, b = h[keep], ids[keep], b[keep]
         cuts = np.flatnonzero(np.diff(b)) + 1
         for i, k in zip([0, *cuts], [*cuts, len(h)], strict=True):
             out.append((int(b[i]), kind, _pack_ids(ids[i:k]), _pack_hashes(h[i:k])))
@@ -135,10 +134,26 @@ def _anchor_blobs(rows: DataFrame, window: int, buckets: int) -> DataFrame:
                 owner = d.owner[at]
                 long = np.bincount(d.owner, minlength=len(d.ids))[owner] >= window
                 h, at, owner = h[long], at[long], owner[long]
+                ids, aligned = d.ids[owner], d.place[at] % block == 0
+                # one row per block and document, with whether it is aligned anywhere in it
+                order = np.lexsort((~aligned, ids, h))
+                h, ids, aligned = h[order], ids[order], aligned[order]
+                keep = np.ones(len(h), bool)
+                keep[1:] = (h[1:] != h[:-1]) | (ids[1:] != ids[:-1])
+                h, ids, aligned = h[keep], ids[keep], aligned[keep]
+                head = np.ones(len(h), bool)
+                head[1:] = h[1:] != h[:-1]
+                first = np.flatnonzero(head)
+                many = np.diff(np.append(first, len(h)))
+                shared = np.repeat(many > 1, many)
                 out: list[tuple] = []
-                aligned = d.place[at] % block == 0
-                parts(h[aligned], d.ids[owner[aligned]], 0, out)
-                parts(h, d.ids[owner], 1, out)
+                # blocks that documents of this slice share are anchors already: two of these are indexed for the others
+                two, last = first[many > 1], (first + many - 1)[many > 1]
+                alone = ~shared & aligned
+                parts(np.concatenate([h[two], h[last], h[alone]]), np.concatenate([ids[two], ids[last], ids[alone]]), 0, out)
+                parts(h[~shared], ids[~shared], 1, out)
+                known = np.full(int(shared.sum()), int(mix(ids[:1].astype(np.uint64))[0] % np.uint64(buckets)) if len(ids) else 0)
+                parts(h[shared], ids[shared], 2, out, known)
                 if out:
                     yield pa.RecordBatch.from_arrays(
                         [pa.array(c, type=t) for c, t in zip(zip(*out, strict=True), (pa.int32(), pa.int32(), pa.binary(), pa.binary()), strict=True)], names=_BLOBS.names
@@ -152,22 +167,29 @@ def _anchors(blobs: DataFrame) -> DataFrame:
     schema = T.StructType([T.StructField("id", T.LongType()), T.StructField("h", T.LongType())])
 
     class Index:
+        """Blocks of a bucket with their least and largest document; parts are merged before they grow large."""
+
         def __init__(self):
-            self.parts, self.h = [], None
+            self.parts, self.held, self.h = [], 0, None
 
         def add(self, ids, h):
-            self.parts.append((ids, h))
+            self.parts.append((h, ids, ids))
+            self.held += len(h)
+            if self.held > 1 << 20:
+                self._merge()
+
+        def _merge(self):
+            h, low, high = (np.concatenate([p[k] for p in self.parts]) for k in range(3)) if self.parts else (np.zeros(0, np.uint64), *[np.zeros(0, np.int64)] * 2)
+            order = np.argsort(h, kind="stable")
+            h, low, high = h[order], low[order], high[order]
+            at = np.flatnonzero(np.append(True, h[1:] != h[:-1])) if len(h) else np.zeros(0, np.int64)
+            self.parts = [(h[at], np.minimum.reduceat(low, at), np.maximum.reduceat(high, at))] if len(h) else []
+            self.held = len(at)
 
         def close(self):
-            ids = np.concatenate([p[0] for p in self.parts]) if self.parts else np.zeros(0, np.int64)
-            h = np.concatenate([p[1] for p in self.parts]) if self.parts else np.zeros(0, np.uint64)
-            order = np.lexsort((ids, h))
-            ids, h = ids[order], h[order]
-            head = np.ones(len(h), bool)
-            head[1:] = h[1:] != h[:-1]
-            at = np.flatnonzero(head)
-            tail = np.append(at[1:], len(h)) - 1 if len(h) else at
-            self.h, self.least, self.many, self.told, self.parts = h[at], ids[at], ids[tail] != ids[at], np.zeros(len(at), bool), []
+            self._merge()
+            self.h, self.least, high = self.parts[0] if self.parts else (np.zeros(0, np.uint64), *[np.zeros(0, np.int64)] * 2)
+            self.many, self.told, self.parts = high != self.least, np.zeros(len(self.h), bool), []
 
         def probe(self, ids, h):
             if not len(self.h):
@@ -190,6 +212,9 @@ def _anchors(blobs: DataFrame) -> DataFrame:
                 if kind == 0:
                     index.add(ids, h)
                     continue
+                if kind == 2:
+                    found.append((ids, h))
+                    continue
                 if index.h is None:
                     index.close()
                 found.append(index.probe(ids, h))
@@ -204,6 +229,17 @@ def _anchors(blobs: DataFrame) -> DataFrame:
 _WINDOWS = T.StructType([T.StructField("bucket", T.IntegerType()), T.StructField("first", T.LongType()), T.StructField("ids", T.BinaryType()), T.StructField("places", T.BinaryType()), T.StructField("hashes", T.BinaryType())])
 
 
+def _runs(ids: np.ndarray, places: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(id, start, length) of the runs of consecutive places, ordered by id."""
+    order = np.lexsort((places, ids))
+    ids, places = ids[order], places[order]
+    head = np.ones(len(ids), bool)
+    head[1:] = (ids[1:] != ids[:-1]) | (places[1:] > places[:-1] + 1)
+    at = np.flatnonzero(head)
+    ends = np.append(at[1:], len(ids)) - 1
+    return ids[at], places[at], places[ends] - places[at] + 1
+
+
 def _window_blobs(candidates: DataFrame, window: int, buckets: int) -> DataFrame:
     """Windows that hold an anchor, packed per bucket; batches come in the order of ids."""
     block = block_words(window)
@@ -234,10 +270,23 @@ def _window_blobs(candidates: DataFrame, window: int, buckets: int) -> DataFrame
                     continue
                 b = _bucket(least[start], buckets)
                 ids, place = d.ids[d.owner[start]], d.place[start]
+                # what an earlier document of this slice has is a repeat already
+                order = np.lexsort((ids, w1[start], w0[start]))
+                same = np.zeros(len(order), bool)
+                same[1:] = (w0[start][order][1:] == w0[start][order][:-1]) & (w1[start][order][1:] == w1[start][order][:-1])
+                group = np.cumsum(~same) - 1
+                least_id = ids[order][np.flatnonzero(~same)][group]
+                late = np.zeros(len(order), bool)
+                late[order] = ids[order] > least_id
+                out = []
+                if late.any():
+                    run_ids, run_start, run_n = _runs(ids[late], place[late])
+                    spread = int(mix(run_ids[:1].astype(np.uint64))[0] % np.uint64(buckets))
+                    out.append((spread, int(run_ids[0]), _pack_ids(run_ids), np.concatenate([run_start, run_n]).astype("<u4").tobytes(), None))
+                b, ids, place, start = b[~late], ids[~late], place[~late], start[~late]
                 order = np.lexsort((place, ids, b))
                 b, ids, place, start = b[order], ids[order], place[order], start[order]
                 cuts = np.flatnonzero(np.diff(b)) + 1
-                out = []
                 for i, k in zip([0, *cuts], [*cuts, len(b)], strict=True):
                     pairs = np.stack([w0[start[i:k]], w1[start[i:k]]], axis=1)
                     out.append((int(b[i]), int(ids[i]), _pack_ids(ids[i:k]), place[i:k].astype("<u4").tobytes(), pairs.tobytes()))
@@ -260,16 +309,15 @@ def _repeats(blobs: DataFrame) -> DataFrame:
                 if b != now:
                     now, seen = b, {}
                 ids, places = _unpack_ids(ids.as_py()), np.frombuffer(places.as_py(), dtype="<u4").astype(np.int64)
-                raw, set_first = pairs.as_py(), seen.setdefault
+                raw = pairs.as_py()
+                if raw is None:  # runs that the slice knew
+                    found.append((ids, places[: len(ids)], places[len(ids) :]))
+                    continue
+                set_first = seen.setdefault
                 first = np.fromiter((set_first(raw[16 * i : 16 * i + 16], d) for i, d in enumerate(ids.tolist())), dtype=np.int64, count=len(ids))
                 late = first < ids
-                ids, places = ids[late], places[late]
-                if not len(ids):
-                    continue
-                head = np.ones(len(ids), bool)
-                head[1:] = (ids[1:] != ids[:-1]) | (places[1:] != places[:-1] + 1)
-                at = np.flatnonzero(head)
-                found.append((ids[at], places[at], np.diff(np.append(at, len(ids)))))
+                if late.any():
+                    found.append(_runs(ids[late], places[late]))
             if found:
                 yield pa.RecordBatch.from_arrays(
                     [pa.array(np.concatenate([f[0] for f in found])), *[pa.array(np.concatenate([f[k] for f in found]).astype(np.int32)) for k in (1, 2)]], names=schema.names
