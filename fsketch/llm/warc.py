@@ -283,7 +283,8 @@ def read_archives(spark: SparkSession, manifest: DataFrame, payloads: bool = Tru
                 if found:
                     yield pa.RecordBatch.from_pylist(found, schema=arrow)
 
-    return manifest.select("path", "records").repartition("path").mapInArrow(work, schema)
+    # a task per file: by size alone the few bytes of the manifest would be read by one task
+    return manifest.select("path", "records").repartition(max(1, manifest.count())).mapInArrow(work, schema)
 
 
 def op8_warc(spark, sf_dir: str) -> DataFrame:
