@@ -50,6 +50,8 @@ COPY_SHARE = 0.8
 PARAPHRASE_SHARE = 0.6
 ANSWER_WORDS = 6
 ANSWER_SHARE = 0.75
+#: Documents without any benchmark word that are added to the corpus's counts: frequencies in a few documents say little.
+PSEUDO_DOCS = 20
 
 
 def folded_words(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
@@ -142,6 +144,7 @@ def document_frequencies(docs: DataFrame, vocabulary: np.ndarray, text_col: str
 def telling(block: list, vocabulary: np.ndarray, n_docs: int, df: np.ndarray, least: int = 4) -> tuple[np.ndarray, np.ndarray]:
     """The words that take part in the retrieval, with their weights: those in at most half of the documents, and all
     words of passages that have fewer than ``least`` of these."""
+    n_docs += PSEUDO_DOCS
     keep = 2 * df <= n_docs
     for _, words, _ in block:
         at = np.unique(np.searchsorted(vocabulary, np.array(words, dtype=np.int64).view(np.uint64)))
