@@ -1,8 +1,8 @@
 """Proportional stratified interleaving into shards (native: DataFrame functions only).
 
 Rows get a seeded pseudo-random order inside their source. A row of rank r among n rows has the fractional rank
-(r - 1/2) / n; sorted by it, each stretch of rows holds the sources in their overall proportions. The sorted
-sequence is cut into shards whose row counts differ by one at most (law ``rows``).
+(r - u) / n, where u in (0, 1) is drawn per source, so that sources of the same size don't fall on the same places; sorted by
+it, each stretch of rows holds the sources in their overall proportions. The sorted sequence is cut into shards whose row counts differ by one at most (law ``rows``).
 
 No rank is taken over a whole source or table by one task: rows are ranked in hash buckets of some thousands
 and get the number of rows in earlier buckets as an offset, so one source with a third of all rows is spread like
@@ -77,7 +77,9 @@ def assign_shards(
     ranked = with_n.withColumn("_local", local).join(
         offsets, F.col("source").eqNullSafe(F.col("o_source")) & (F.col("bucket") == F.col("o_bucket"))
     )
-    fraction = (2 * (F.col("_local") + F.col("_before")) - 1).cast("double") / (2 * F.col("n_source")).cast("double")
+    drawn = F.md5(F.concat(F.lit(f"{seed}|source|"), F.coalesce(F.col("source").cast("string"), F.lit(""))))
+    offset = (F.conv(F.substring(drawn, 1, 12), 16, 10).cast("double") + 0.5) / F.lit(float(1 << 48))
+    fraction = ((F.col("_local") + F.col("_before")).cast("double") - offset) / F.col("n_source").cast("double")
     strips = max(1, -(-total // bucket_rows))
     placed = materialise(
         ranked.select("id", "source", "size", "text_crc32", "key", fraction.alias("fraction"))
@@ -131,7 +133,7 @@ with recursive bits(i, v, k) as (
 ), ranked as (
   select *, row_number() over (partition by source order by key, doc_id, text_crc32, size) as r, count(*) over (partition by source) as n from base
 ), placed as (
-  select *, row_number() over (order by (2 * r - 1)::DOUBLE / (2 * n)::DOUBLE, source nulls first, key, doc_id, text_crc32, size) - 1 as place, count(*) over () as total
+  select *, row_number() over (order by (r::DOUBLE - (('0x' || substr(md5('17|source|' || coalesce(source, '')), 1, 12))::BIGINT::DOUBLE + 0.5) / 281474976710656::DOUBLE) / n::DOUBLE, source nulls first, key, doc_id, text_crc32, size) - 1 as place, count(*) over () as total
   from ranked
 )
 select doc_id, size, text_crc32, 'rows' as law, (place * 40 // total)::INTEGER as shard,
