@@ -8,10 +8,10 @@ from .quality_classifier import op5_quality_classifier
 from .quality_rules import OP1_SQL, op1_quality_rules
 from .sharding import OP9_SQL, op9_sharding
 from .simhash import op10_simhash
-from .substring_dedup import op7_substring_dedup
+from .substring_dedup import OP7_SQL, op7_substring_dedup
 from .token_counts import op2_token_counts
 from .url_filters import OP3_SQL, op3_url_filters
-from .warc import op8_warc
+from .warc import OP8_SQL, op8_warc
 
 QUERIES = {
     "op1_quality_rules": op1_quality_rules,
@@ -27,4 +27,4 @@ QUERIES = {
 }
 
 #: The others are not expressible in SQL and are tested against brute force or exact round trips.
-ORACLE_SQL = {"op1_quality_rules": OP1_SQL, "op3_url_filters": OP3_SQL, "op9_sharding": OP9_SQL}
+ORACLE_SQL = {"op1_quality_rules": OP1_SQL, "op3_url_filters": OP3_SQL, "op7_substring_dedup": OP7_SQL, "op8_warc": OP8_SQL, "op9_sharding": OP9_SQL}

@@ -407,3 +407,20 @@ def remove_repeats(
 
 def op7_substring_dedup(spark, sf_dir: str) -> DataFrame:
     return remove_repeats(spark.read.parquet(f"{sf_dir}/documents.parquet"), outputs=("n_words", "n_removed", "kept_sha256"))
+
+
+OP7_SQL = """
+with d as materialized (
+  select row_number() over () as rid, doc_id, list_filter(string_split_regex(coalesce(text, ''), '[\\x20\\x09-\\x0D]+'), lambda w: w <> '') as ws from documents
+), win as materialized (
+  select rid, doc_id, p, sha256(array_to_string(list_slice(ws, p, p + 49), ' ')) as h
+  from (select rid, doc_id, ws, unnest(range(1, len(ws) - 48)) as p from d where len(ws) >= 50 and doc_id is not null)
+), least as (select h, min(doc_id) as m from win group by h),
+gone as materialized (select distinct rid, p + j as i from win join least using (h), range(50) r(j) where m < doc_id),
+kept as (
+  select w.rid, string_agg(w.word, ' ' order by w.i) as words
+  from (select rid, unnest(ws) as word, unnest(range(1, len(ws) + 1)) as i from d) w anti join gone on gone.rid = w.rid and gone.i = w.i group by w.rid
+), n as (select rid, count(*) as n from gone group by rid)
+select doc_id, len(ws)::BIGINT as n_words, coalesce(n.n, 0)::BIGINT as n_removed, sha256(coalesce(kept.words, '')) as kept_sha256
+from d left join kept on kept.rid = d.rid left join n on n.rid = d.rid
+"""

@@ -292,3 +292,17 @@ def op8_warc(spark, sf_dir: str) -> DataFrame:
     back = read_archives(spark, write_archives(pages), payloads=False)
     kind = pages.schema["page_id"].dataType
     return back.select(F.col("id").cast(kind).alias("page_id"), "payload_bytes", "payload_digest", "record_type", F.col("refers_to").cast(kind).alias("refers_to"), "url")
+
+
+#: Base32 in SQL: each five hex digits are four letters.
+_LETTERS = "ABCDEFGHIJKLMNOPQRSTUVWXYZ234567"
+_FIVE = "('0x' || substr(h, 5 * g + 1, 5))::BIGINT"
+OP8_SQL = f"""
+with p as (select page_id, coalesce(html, '') as html, replace(replace(coalesce(url, ''), chr(13), '%0D'), chr(10), '%0A') as url, sha1(coalesce(html, '')) as h from pages),
+o as (select html, max(page_id) as owner from p group by html)
+select page_id, strlen(p.html)::BIGINT as payload_bytes,
+  array_to_string(list_transform(range(8), lambda g: {' || '.join(f"substr('{_LETTERS}', 1 + (({_FIVE} >> {shift}) & 31)::INT, 1)" for shift in (15, 10, 5, 0))}), '') as payload_digest,
+  case when page_id is not distinct from owner or page_id is null and owner is null then 'response' else 'revisit' end as record_type,
+  case when page_id is not distinct from owner then null else owner end as refers_to, url
+from p join o on o.html = p.html
+"""
