@@ -12,7 +12,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..functions.hashing import sql_normal, sql_uniform
+from ..functions.hashing import py_normal, sql_normal, sql_uniform
 from ..functions.vectors import feature_names
 from ..operators import baselines, bounds, candidates, freq, hadamard, lloyd, measures, qubo, resources, sample, scale, seed, sketch, solve, variational
 from ..operators.noise import Noise
@@ -596,7 +596,10 @@ def noise_drift(spark, sf):
     return _frame(spark, [(ideal, noisy, measures.drift(ideal, noisy))], "ideal double, noisy double, drift double")
 
 
-@query("random_projection")
+_PROJ = [" + ".join(f"z{c} * {py_normal('proj', 42, i, c) / 6**0.5!r}" for c in range(22)) for i in range(6)]
+
+
+@query("random_projection", f"with {sql_points('W9')} select row_key, {', '.join(f'{r6(e)} as p{i}' for i, e in enumerate(_PROJ))} from z")
 def random_projection(spark, sf):
     points = scale.project(_prepared(spark, sf, "W9"), 6)
     cols = feature_names(points, "p")
