@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 
 from ..functions.hashing import normal, py_normal, py_uniform
 from ..functions.vectors import feature_names, nearest, squared_distance
+from ..session import ship
 from . import lloyd
 from . import seed as seeds
 from .solve import Solution
@@ -95,6 +96,7 @@ def _fit_once(z: np.ndarray, w: np.ndarray, k: int, low: np.ndarray, high: np.nd
 def compressive(spark: SparkSession, z: np.ndarray, w: np.ndarray, k: int, low: np.ndarray, high: np.ndarray, restarts: int = 4, weights: str = "uniform", seed: int = 42) -> tuple[np.ndarray, np.ndarray, float]:
     """Continuous centroids whose features match the data sketch: greedy pursuit with replacement, then joint descent.
     Restarts run in parallel; nothing here depends on the number of rows."""
+    ship(spark)
 
     def work(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for pdf in frames:

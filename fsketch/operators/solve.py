@@ -16,6 +16,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.vectors import feature_names, squared_distance
+from ..session import ship
 from .candidates import Sets
 from .qubo import Model
 
@@ -47,6 +48,7 @@ def digits(index: np.ndarray, sizes: list[int]) -> np.ndarray:
 
 def _least_state(spark: SparkSession, n: int, score) -> tuple[int, float]:
     """The state number of least score over range(n); tasks send one row each."""
+    ship(spark)
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         best = None

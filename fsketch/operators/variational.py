@@ -16,6 +16,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 
 from ..functions.hashing import py_uniform
+from ..session import ship
 
 MIXERS = ("ring_exact", "ring_pairs", "line_pairs")
 
@@ -187,6 +188,7 @@ def select(costs: list[np.ndarray], p: int = 1, how: str = "mode", n_shots: int
 
 def select_frame(costs: DataFrame, p: int = 1, how: str = "mode", n_shots: int = 10_000, mixer: str = "ring_exact", init: str = "w", seed: int = 42) -> DataFrame:
     """(g, r, prob) from (g, r, cost): one group per call of the simulator, groups in parallel. A group has D rows."""
+    ship(costs.sparkSession)
 
     def work(key, pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values("r")

@@ -14,6 +14,7 @@ from pyspark.sql.window import Window
 from ..functions.hashing import sql_uniform, uniform
 from ..functions.vectors import nearest
 from ..operators import candidates, freq, lloyd, scale, seed
+from ..session import ship
 from ..sources import io
 from ..sources.io import table
 from ..sources.workloads import load
@@ -350,6 +351,7 @@ def udaf_sketch(spark, sf):
 @query("ops_udtf_candidates", f"with {q.sql_model()} select g, r, {q.r6('v0')} as c0, {q.r6('v1')} as c1 from cand")
 def udtf_candidates(spark, sf):
     """Candidates by a Python table function, one call per centroid."""
+    ship(spark)
 
     @F.udtf(returnType="g int, r int, c0 double, c1 double")
     class Around:

@@ -15,6 +15,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from ..functions.hashing import py_normal, py_uniform
+from ..session import ship
 
 EVENTS = T.StructType([
     T.StructField("event_id", T.LongType()), T.StructField("ts", T.TimestampNTZType()), T.StructField("user_id", T.LongType()),
@@ -114,6 +115,7 @@ def drift(windows: DataFrame, w: list[float]) -> DataFrame:
 
 def bottom_sample(rows: DataFrame, b: int, seed: int = 42, length_hours: int = 24) -> DataFrame:
     """A uniform sample of b events per window of time, in stateful batches: the state is the b least hashes seen."""
+    ship(rows.sparkSession)
     schema = "hour_bucket long, event_id long, h double"
     state = "ids array<long>, hs array<double>"
 
