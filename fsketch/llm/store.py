@@ -10,11 +10,11 @@ import atexit
 import gc
 import tempfile
 import uuid
-import zipfile
-from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
 
+from ..session import ship  # noqa: F401  for the operators
+
 _written: list[tuple[SparkSession, str]] = []
 _places: dict[str, str] = {}
 
@@ -66,20 +66,3 @@ def release() -> None:
 
 
 atexit.register(release)
-
-
-_shipped: set[str] = set()
-
-
-def ship(spark: SparkSession) -> None:
-    """Let Python workers import this package wherever they run: it is added to the job's files once per application."""
-    app = spark.sparkContext.applicationId
-    if app in _shipped:
-        return
-    root = Path(__file__).resolve().parents[1]
-    target = Path(tempfile.mkdtemp(prefix="fsketch-code-")) / "fsketch-code.zip"
-    with zipfile.ZipFile(target, "w") as z:
-        for p in sorted(root.rglob("*.py")):
-            z.write(p, p.relative_to(root.parent))
-    spark.sparkContext.addPyFile(str(target))
-    _shipped.add(app)
