@@ -335,7 +335,8 @@ def repeated_runs(docs: DataFrame, window: int = WINDOW, id_col: str = "doc_id",
     anchors = materialise(
         _anchors(_anchor_blobs(rows, window, buckets)).groupBy(F.col("id").alias("_aid")).agg(F.collect_list("h").alias("anchors")), "dedup-anchors"
     )
-    candidates = materialise(rows.join(anchors, F.col("_id") == F.col("_aid")).drop("_aid"), "dedup-candidates")
+    # by sorting at every size: both sides grow with the corpus
+    candidates = materialise(rows.join(anchors.hint("merge"), F.col("_id") == F.col("_aid")).drop("_aid"), "dedup-candidates")
     ordered = candidates.repartitionByRange("_id").sortWithinPartitions("_id")
     return materialise(
         _repeats(_window_blobs(ordered, window, buckets)).groupBy("id").agg(F.collect_list(F.struct("start", "windows")).alias("runs")), "dedup-runs"
@@ -369,7 +370,7 @@ def remove_repeats(
     one without repeats stays as it is (null stays null)."""
     runs = repeated_runs(docs, window, id_col, text_col).select(F.col("id").alias("_rid"), "runs")
     rows = docs.select(*keep, docs[text_col].alias("_text"), docs[id_col].cast("long").alias("_id"))
-    rows = rows.join(runs, F.col("_id") == F.col("_rid"), "left").drop("_rid", "_id")
+    rows = rows.join(runs.hint("merge"), F.col("_id") == F.col("_rid"), "left").drop("_rid", "_id")
     schema = T.StructType([*[rows.schema[c] for c in keep], *[T.StructField(o, OUTPUTS[o][0]) for o in outputs]])
 
     def one(raw: bytes | None, runs: list[dict] | None) -> dict:
