@@ -67,3 +67,13 @@ def test_near_copies_edges(spark, docs, empty):
     found = {r.doc_id: r.component_id for r in got if r.doc_id is not None}
     assert [found[i] for i in (1, 2, 3, 4, 5, 7, 17)] == [1, 1, 3, 3, 3, 7, 7]
     assert all(found[i] == i for i in (6, 8, 9, 10, 11, 12, 13, 14, 15, 16))
+
+
+def test_stage_drops_rows_not_ids(spark):
+    """An id on rows of different texts: only the row that is a near copy goes, and the other text keeps its document."""
+    base, other, third = prose(1, 100), prose(2, 100), prose(3, 100)
+    rows = [(1, base), (5, edited(7, base, 1)), (5, other), (8, other), (9, third), (9, prose(4, 100)), (9, third), (None, base)]
+    docs = spark.createDataFrame([(i, t, *[None] * 8) for i, t in rows], SCHEMA).repartition(3)
+    kept = corpus_pipeline.simhash_near_dedup(spark, docs, "")
+    found = sorted(((r.doc_id or 0, r.text) for r in kept.collect()), key=str)
+    assert kept.columns == docs.columns and found == sorted([(0, base), (1, base), (5, other), (9, third), (9, prose(4, 100))], key=str)
