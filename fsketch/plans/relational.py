@@ -62,11 +62,13 @@ def join_left(spark, sf):
     return j.groupBy("c_custkey").agg(F.count("o_orderkey").alias("n"))
 
 
-@query("ops_join_full", "select count(*) as n, count(doc_id) as docs, count(lab) as labs from (select d.doc_id, l.doc_id as lab from (select doc_id from documents where doc_id % 2 = 0) d full join labels l on d.doc_id = l.doc_id)")
+@query("ops_join_full", "select count(*) as n, count(o_orderkey) as orders, count(l_orderkey) as lines, count(case when o_orderkey is not null and l_orderkey is not null then 1 end) as met from orders full join lineitem on o_orderkey = l_orderkey and o_orderdate::DATE = l_shipdate::DATE")
 def join_full(spark, sf):
-    d = table(spark, sf, "documents").select("doc_id").where("doc_id % 2 = 0")
-    j = d.join(table(spark, sf, "labels").select(F.col("doc_id").alias("lab")), F.col("doc_id") == F.col("lab"), "full")
-    return j.agg(F.count(F.lit(1)).alias("n"), F.count("doc_id").alias("docs"), F.count("lab").alias("labs"))
+    """Lines that left on the day of their order; most orders and lines have no such partner."""
+    o, line = table(spark, sf, "orders"), table(spark, sf, "lineitem")
+    same_day = (F.col("o_orderkey") == F.col("l_orderkey")) & (F.col("o_orderdate").cast("date") == F.col("l_shipdate").cast("date"))
+    met = F.count_if(F.col("o_orderkey").isNotNull() & F.col("l_orderkey").isNotNull()).alias("met")
+    return o.join(line, same_day, "full").agg(F.count(F.lit(1)).alias("n"), F.count("o_orderkey").alias("orders"), F.count("l_orderkey").alias("lines"), met)
 
 
 @query("ops_join_semi", "select doc_id, n_chars from documents where doc_id in (select doc_id from labels)")
