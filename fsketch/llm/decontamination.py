@@ -8,7 +8,7 @@
 3. Around each candidate the longest common subsequence of words decides: a large part of the passage in order is a copy; a
    smaller part is a paraphrase if the answer, given or else the passage's last words, is there in order too.
 
-The benchmark is the stated query set: it is worked through in blocks of at most ``block_passages`` passages, so the basis
+The benchmark is the stated query set: it is worked through in blocks of at most ``block_passages`` passages, and never more than the rank: then the latent space holds every passage of its block whole. So the basis
 and vectors that go to the executors have a fixed bound. The corpus only streams past them; nothing of it is sampled or cut.
 
 Words are runs of bytes other than ASCII white space and punctuation, with A-Z and the Latin-1 capitals lower-cased.
@@ -44,7 +44,7 @@ PASSAGE_WORDS = 96
 RANK = 256
 OVERSAMPLE = 16
 POWER_ROUNDS = 2
-BLOCK_PASSAGES = 1024
+BLOCK_PASSAGES = RANK
 LEAST_COSINE = 0.6
 COPY_SHARE = 0.8
 PARAPHRASE_SHARE = 0.6
@@ -280,6 +280,7 @@ def mark_leaks(
 ) -> DataFrame:
     """The kept columns and ``leaks``, an array of structs with one entry per benchmark item that the row's text holds."""
     spark = docs.sparkSession
+    block_passages = min(block_passages, rank)
     rows = passages(benchmark, item_col, item_text_col, answer_col)
     items = [(r.item, list(r.words), list(r.answer)) for r in rows.orderBy("item", "part").toLocalIterator()]  # the query set, in blocks
     out = docs.select(*keep, docs[text_col].alias("_text"), F.array().cast(T.ArrayType(LEAK)).alias("leaks"))
