@@ -306,9 +306,9 @@ def json_(spark, sf):
     return table(spark, sf, "events").select("event_id", F.from_json("props", "k int")["k"].alias("k"))
 
 
-@query("ops_explode", "select vec_id, (i - 1)::INT as i, round(embedding[i]::DOUBLE, 6) as v from embeddings, range(1, 9) t(i)")
+@query("ops_explode", "select vec_id, (i - 1)::INT as i, round(embedding[i]::DOUBLE, 6) as v from (select vec_id, embedding, unnest(range(1, len(embedding) + 1)) as i from embeddings)")
 def explode_(spark, sf):
-    e = table(spark, sf, "embeddings").select("vec_id", F.posexplode(F.slice("embedding", 1, 8)).alias("i", "v"))
+    e = table(spark, sf, "embeddings").select("vec_id", F.posexplode("embedding").alias("i", "v"))
     return e.select("vec_id", "i", F.round(F.col("v").cast("double"), 6).alias("v"))
 
 

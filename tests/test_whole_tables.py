@@ -15,3 +15,10 @@ def test_full_join_reads_whole_tables(spark):
     met = int((want["_merge"] == "both").sum())
     assert got == {"n": len(want), "orders": int(want["o_orderkey"].count()), "lines": int(want["l_orderkey"].count()), "met": met}
     assert got["lines"] >= len(lines) and got["orders"] >= len(orders) and 0 < got["met"] < min(len(orders), len(lines))
+
+
+def test_explode_takes_whole_arrays(spark):
+    got = {(r.vec_id, r.i): r.v for r in relational.Q["ops_explode"][0](spark, SF).collect()}
+    vectors = pd.read_parquet(f"{SF}/embeddings.parquet")
+    want = {(v, i): float(x) for v, e in zip(vectors["vec_id"], vectors["embedding"], strict=True) for i, x in enumerate(e)}
+    assert got.keys() == want.keys() and all(abs(got[k] - want[k]) < 1e-6 for k in want)
