@@ -1,7 +1,7 @@
 """Token counts by section: each document is encoded once, whole, and its tokens are attributed to sections by offset.
 
 Tokens and sections are both intervals of a text, so attribution is an interval join of two sorted lists, done
-per document by binary search. Counting sections one by one would give other tokens at their edges; here the
+by binary search over the documents of a slice laid end to end. Counting sections one by one would give other tokens at their edges; here the
 counts of a document's sections and of the text outside them add up to the document's count. A token that crosses a
 boundary goes by an explicit rule:
 
@@ -11,11 +11,14 @@ boundary goes by an explicit rule:
 
 A token may begin or end inside a character (byte-level vocabularies): such a character is counted as the token's.
 
-Sections are spans [start, end) in characters, sorted and disjoint; they come from a column, from several text fields
+Sections are spans [start, end) in characters; they come from a column, from several text fields
 that are joined, or from splitting at a separator, which then belongs to the section that it ends.
 
-Defined cases: a null or empty text has one empty section (if split) with no tokens; sections of no length get none;
-repeated rows are counted each; an empty table gives an empty result.
+Defined cases: a null or empty text has one empty section (if split) with no tokens; sections of no length get none.
+Given sections may come in any order; a character that several of them hold is the first one's (by start, then end, then
+place in the array); what lies outside the text counts as cut off, and a section that ends before it starts as empty; null
+sections and those with a null bound get no row, but the others keep their numbers. Repeated rows are counted each; an
+empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -28,36 +31,40 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .arrow import text_bytes
+from .arrow import slices, text_bytes
 from .bpe import coder_of, ranks_and_pattern
 
 RULES = ("start", "largest", "proportional")
 
 
-def token_spans(coder, text: str, raw: bytes) -> tuple[np.ndarray, np.ndarray]:
-    """First character and end (exclusive) of each token of the text."""
-    ids = np.concatenate([np.frombuffer(b, dtype="<u4") for b in coder.blocks(text)] or [np.zeros(0, "<u4")])
+def token_spans(coder, texts: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """First character and end (exclusive) of each token of the texts laid end to end, and the tokens of each text."""
+    packed = coder.batch(texts)
+    ids = np.frombuffer(b"".join(packed), dtype="<u4")
+    many = np.array([len(p) // 4 for p in packed], dtype=np.int64)
     ends = np.cumsum(coder.lengths[ids])
-    if len(raw) == len(text):
-        return ends - coder.lengths[ids], ends
-    # characters begun before each byte offset
-    begun = np.concatenate([[0], np.cumsum((np.frombuffer(raw, dtype=np.uint8) & 0xC0) != 0x80, dtype=np.int64)])
     starts = ends - coder.lengths[ids]
-    return begun[starts + 1] - 1, begun[ends]
+    raw = "".join(texts).encode()
+    if len(raw) == sum(map(len, texts)):
+        return starts, ends, many
+    # characters begun before each byte offset
+    begun = np.zeros(len(raw) + 1, np.int32 if len(raw) < 1 << 31 else np.int64)
+    np.cumsum((np.frombuffer(raw, dtype=np.uint8) & 0xC0) != 0x80, out=begun[1:])
+    return (begun[starts + 1] - 1).astype(np.int64), begun[ends].astype(np.int64), many
 
 
-def attribute(first: np.ndarray, last: np.ndarray, starts: np.ndarray, ends: np.ndarray, rule: str) -> tuple[np.ndarray, float]:
-    """Tokens per section, and those outside all sections. ``last`` is exclusive."""
+def attribute(first: np.ndarray, last: np.ndarray, starts: np.ndarray, ends: np.ndarray, rule: str) -> np.ndarray:
+    """Tokens per section; sections are sorted and disjoint. ``last`` is exclusive."""
     n = len(starts)
     counts = np.zeros(n + 1, dtype=np.float64 if rule == "proportional" else np.int64)
     if not len(first):
-        return counts[:n], 0
+        return counts[:n]
     if rule == "start":
         at = np.searchsorted(starts, first, side="right") - 1
         # among sections that start at the same place only the last one has a length
         inside = (at >= 0) & (first < ends[np.maximum(at, 0)]) if n else np.zeros(len(first), bool)
         counts += np.bincount(np.where(inside, at, n), minlength=n + 1)
-        return counts[:n], counts[n]
+        return counts[:n]
     # sections met by each token: the ones that end after its start and start before its end
     low, high = np.searchsorted(ends, first, side="right"), np.searchsorted(starts, last, side="left")
     many = np.maximum(high - low, 0)
@@ -68,20 +75,50 @@ def attribute(first: np.ndarray, last: np.ndarray, starts: np.ndarray, ends: np.
     if rule == "proportional":
         share = shared / (last - first)[token]
         counts += np.bincount(section, weights=share, minlength=n + 1)
-        return counts[:n], len(first) - float(share.sum())
+        return counts[:n]
     order = np.lexsort((section, -shared, token))
     token, section = token[order], section[order]
     head = np.ones(len(token), bool)
     head[1:] = token[1:] != token[:-1]
     counts += np.bincount(section[head], minlength=n + 1)
-    return counts[:n], len(first) - int(head.sum())
-
-
-def split_spans(text: str, separator: str) -> tuple[np.ndarray, np.ndarray]:
-    lengths = np.array([len(x) for x in text.split(separator)], dtype=np.int64)
-    lengths[:-1] += len(separator)
-    ends = np.cumsum(lengths)
-    return ends - lengths, ends
+    return counts[:n]
+
+
+def split_spans(texts: list[str], separator: str) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Text, start and end of each section; offsets are those of the texts laid end to end."""
+    lengths: list[int] = []
+    many = []
+    for text in texts:
+        parts = text.split(separator)
+        lengths += map(len, parts)
+        many.append(len(parts))
+    width, many = np.array(lengths, dtype=np.int64) + len(separator), np.array(many, dtype=np.int64)
+    width[np.cumsum(many) - 1] -= len(separator)
+    ends = np.cumsum(width)
+    return np.repeat(np.arange(len(texts)), many), ends - width, ends
+
+
+def given_spans(column: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Text, number in the text's array, start and end of each section that is not null."""
+    many = pa.compute.fill_null(pa.compute.list_value_length(column), 0).to_numpy(zero_copy_only=False).astype(np.int64)
+    start, end = column.flatten().flatten()[:2]
+    known = pa.compute.and_(start.is_valid(), end.is_valid()).to_numpy(zero_copy_only=False)
+    bound = lambda x: pa.compute.fill_null(x, 0).cast(pa.int64()).to_numpy(zero_copy_only=False)[known]
+    owner = np.repeat(np.arange(len(column)), many)
+    return owner[known], (np.arange(len(owner)) - (np.cumsum(many) - many)[owner])[known], bound(start), bound(end)
+
+
+def disjoint(owner: np.ndarray, starts: np.ndarray, ends: np.ndarray, size: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """An order of the sections, and their starts and ends in it, laid end to end: within their texts (of ``size`` characters) and
+    each without what earlier ones hold."""
+    base = np.cumsum(size) - size
+    starts, ends = (np.clip(x, 0, size[owner]) + base[owner] for x in (starts, ends))
+    ends = np.maximum(starts, ends)
+    order = np.lexsort((ends, starts, owner))
+    starts, ends = starts[order], ends[order]
+    held = np.maximum.accumulate(np.append(0, ends))[:-1]
+    starts = np.maximum(starts, held)
+    return order, starts, np.maximum(starts, ends)
 
 
 def count_tokens(
@@ -101,29 +138,28 @@ def count_tokens(
     ])
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        coder = coder_of(ranks.value, pattern)
+        coder, kinds = coder_of(ranks.value, pattern), (pa.int32(), pa.int64(), pa.int64(), arrow)
         for whole in batches:
-            for at in range(0, whole.num_rows, 512):
-                batch = whole.slice(at, 512)
-                owner, parts = [], []
-                for i, value in enumerate(text_bytes(batch.column("_text"))):
-                    text = (value.as_py() or b"").decode("utf-8", "replace")
-                    first, last = token_spans(coder, text, text.encode())
-                    if sections_col:
-                        given = batch.column("_sections")[i].as_py() or []
-                        starts, ends = (np.array([tuple(x.values())[k] for x in given], dtype=np.int64) for k in (0, 1))
-                    else:
-                        starts, ends = split_spans(text, separator)
-                    counts, rest = attribute(first, last, starts, ends, rule)
-                    label = np.arange(len(starts))
-                    if rest > 0 and sections_col:
-                        label, starts, ends, counts = np.append(label, -1), np.append(starts, 0), np.append(ends, len(text)), np.append(counts, rest)
-                    owner.append(np.full(len(label), i))
-                    parts.append((label, starts, ends, counts))
-                ids = batch.column("_id").take(pa.array(np.concatenate(owner) if owner else np.zeros(0, np.int64)))
-                cols = [np.concatenate([p[k] for p in parts]) if parts else np.zeros(0) for k in range(4)]
-                kinds = (pa.int32(), pa.int64(), pa.int64(), arrow)
-                yield pa.RecordBatch.from_arrays([ids, *[pa.array(c).cast(k) for c, k in zip(cols, kinds, strict=True)]], names=schema.names)
+            for batch in slices(whole, "_text"):
+                texts = [(raw or b"").decode("utf-8", "replace") for raw in text_bytes(batch.column("_text")).to_pylist()]
+                size = np.array([len(t) for t in texts], dtype=np.int64)
+                first, last, many = token_spans(coder, texts)
+                if sections_col:
+                    owner, label, begin, end = given_spans(batch.column("_sections"))
+                    order, starts, ends = disjoint(owner, begin, end, size)
+                    counts = np.zeros(len(owner), np.float64 if rule == "proportional" else np.int64)
+                    counts[order] = attribute(first, last, starts, ends, rule)
+                    rest = many - np.bincount(owner, weights=counts, minlength=len(texts))
+                    more = np.flatnonzero(rest > 1e-6)
+                    owner, label, begin = np.append(owner, more), np.append(label, np.full(len(more), -1)), np.append(begin, np.zeros(len(more), np.int64))
+                    end, counts = np.append(end, size[more]), np.append(counts, rest[more].astype(counts.dtype))
+                else:
+                    owner, starts, ends = split_spans(texts, separator)
+                    counts = attribute(first, last, starts, ends, rule)
+                    base, head = (np.cumsum(size) - size)[owner], np.searchsorted(owner, owner)
+                    label, begin, end = np.arange(len(owner)) - head, starts - base, ends - base
+                ids = batch.column("_id").take(pa.array(owner))
+                yield pa.RecordBatch.from_arrays([ids, *[pa.array(c).cast(k) for c, k in zip((label, begin, end, counts), kinds, strict=True)]], names=schema.names)
 
     return rows.mapInArrow(work, schema)
 

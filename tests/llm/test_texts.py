@@ -4,6 +4,7 @@ import base64
 import hashlib
 import random
 import re
+from collections import Counter
 
 import numpy as np
 import pyarrow as pa
@@ -111,6 +112,60 @@ def test_token_fields(spark, encoding):
         token_counts.count_tokens(df, RANKS, text_col="body", rule="none")
 
 
+@pytest.mark.parametrize("rule", token_counts.RULES)
+def test_given_sections(spark, encoding, rule):
+    """Unsorted, overlapping, null, empty, inverted and outlying sections: every character is the first section's that holds it."""
+    rng, text = random.Random(8), "hello world, " * 4 + "日本語 ñandú é\n" * 3
+    spans = {1: [(6, 11), (0, 6)], 2: [(0, 8), (4, 12), None, (12, 12), (20, 15), (60, 500)], 3: None, 4: [], 5: [(None, 4), (-5, 3)], 6: [(0, 30), (5, 9), (5, 40)]}
+    for i in range(7, 40):
+        spans[i] = [(a, a + rng.randrange(0, 25)) for a in (rng.randrange(0, len(text)) for _ in range(rng.randrange(1, 7)))]
+    texts = {i: ("hello world" if i == 1 else text) for i in spans} | {99: None}
+    df = spark.createDataFrame([(i, t, spans.get(i, [(0, 4)])) for i, t in texts.items()], "doc_id long, text string, s array<struct<start:int,end:int>>")
+    got = {}
+    for r in token_counts.count_tokens(df, RANKS, sections_col="s", rule=rule).collect():
+        got.setdefault(r.doc_id, {})[r.section] = r
+    for i, given in spans.items():
+        mine = {k: s for k, s in enumerate(given or []) if s is not None and None not in s}
+        owner = [-1] * len(texts[i])
+        cut = {k: [min(max(x, 0), len(owner)) for x in s] for k, s in mine.items()}
+        held = sorted(cut, key=lambda k: (cut[k][0], max(cut[k]), k))
+        for k in reversed(held):
+            a, b = cut[k]
+            owner[a:b] = [k] * max(b - a, 0) if b > a else owner[a:b]
+        want = Counter()
+        for a, b in spans_by_tiktoken(encoding, texts[i]):
+            if rule == "start":
+                want[owner[a]] += 1
+                continue
+            share = Counter(owner[a:b])
+            if rule == "proportional":
+                for k, n in share.items():
+                    want[k] += n / (b - a)
+            else:
+                inside = {k: n for k, n in share.items() if k >= 0}
+                want[max(inside, key=lambda k: (inside[k], -held.index(k))) if inside else -1] += 1
+        rows_of = got.get(i, {})
+        assert set(rows_of) == set(mine) | ({-1} if want[-1] > 1e-9 else set())
+        assert all(abs(rows_of[k].n_tokens - want[k]) < 1e-6 for k in rows_of), (i, want, rows_of)
+        assert all((rows_of[k].char_start, rows_of[k].char_end) == s for k, s in mine.items())
+    assert got[99][0].n_tokens == 0
+
+
+def test_pieces_across_sizes(coder, encoding, monkeypatch):
+    """Many unknown pieces at once, of all tree sizes, with a memory that overflows."""
+    rng = random.Random(5)
+    monkeypatch.setattr(bpe, "MEMORY_PIECES", 100)
+    texts = [" ".join("".join(rng.choice("abcdeéßñ日") for _ in range(min(int(rng.expovariate(0.12)) + 1, 300))) for _ in range(rng.randrange(0, 60))) for _ in range(80)]
+    texts += ["", "x" * 700, prose(4, 900)]
+    packed = coder.batch(texts)
+    for text, ids in zip(texts, packed, strict=True):
+        assert np.frombuffer(ids, "<u4").tolist() == encoding.encode_ordinary(text)
+    assert coder.decode_batch(packed) == [t.encode() for t in texts]
+    assert coder.merge([]) == [] and len(coder.young) <= 100 + 60 * 80
+    with pytest.raises(ValueError):
+        bpe.PairTable({b"a": 0})
+
+
 def plain_fingerprint(text):
     text = "".join(chr(ord(c) + 32) if "A" <= c <= "Z" else c for c in text or "")
     w = re.findall(r"[^\x20\x09-\x0D]+", text)
