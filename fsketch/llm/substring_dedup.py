@@ -8,9 +8,10 @@ index with every rolling block of every document:
    document's number each). In a bucket the index comes first and is reduced to one entry per block, with its least
    document and whether another has it; probes then stream past it. A block that two documents have is an anchor.
 2. Documents with anchors are read again, in the order of their ids. Windows around anchors are hashed to 128 bits and
-   dealt out by their least anchor, which keeps neighbours together; in a bucket they arrive in document order, so the
-   first document that shows a window is the least. Every later document's window is a repeat, and runs of
-   repeats extend to the maximal ones.
+   dealt out by the least blocks of their two halves. Neighbours mostly share these, so they stay together, but the
+   windows at the edges of a common passage, which differ in every document, are spread by what stands beside it. In a bucket
+   windows arrive in document order, so the first document that shows a window is the least. Every later document's window is
+   a repeat, and runs of repeats extend to the maximal ones.
 
    Before anything is dealt out, each slice settles what its own documents share: only the first of them goes on.
 3. The runs of each document are merged and cut out of its text.
@@ -19,8 +20,8 @@ Memory in a bucket follows the number of distinct blocks or windows, not of thei
 documents share is one entry, past which one row per slice streams. There are ``BUCKETS`` buckets per shuffle partition.
 
 Defined cases: a null or empty text has no words; documents with a null id neither lose words nor count as earlier ones;
-rows with the same id are taken as copies of one document and all lose what it loses; an empty table gives an
-empty result; other columns are carried as they are. Ids are integers.
+rows with the same id are told apart by their texts, each loses what an id smaller than its own has, and neither counts as
+earlier than the other; an empty table gives an empty result; other columns are carried as they are. Ids are integers.
 """
 
 from __future__ import annotations
@@ -30,7 +31,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -226,18 +227,22 @@ def _anchors(blobs: DataFrame) -> DataFrame:
     return blobs.repartition("bucket").sortWithinPartitions("bucket", "kind").mapInArrow(work, schema)
 
 
-_WINDOWS = T.StructType([T.StructField("bucket", T.IntegerType()), T.StructField("first", T.LongType()), T.StructField("ids", T.BinaryType()), T.StructField("places", T.BinaryType()), T.StructField("hashes", T.BinaryType())])
+_WINDOWS = T.StructType([
+    T.StructField("bucket", T.IntegerType()), T.StructField("first", T.LongType()), T.StructField("ids", T.BinaryType()), T.StructField("keys", T.BinaryType()),
+    T.StructField("counts", T.BinaryType()), T.StructField("places", T.BinaryType()), T.StructField("hashes", T.BinaryType()),
+])
+_WINDOWS_ARROW = (pa.int32(), pa.int64(), *[pa.binary()] * 5)
 
 
-def _runs(ids: np.ndarray, places: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(id, start, length) of the runs of consecutive places, ordered by id."""
-    order = np.lexsort((places, ids))
-    ids, places = ids[order], places[order]
-    head = np.ones(len(ids), bool)
-    head[1:] = (ids[1:] != ids[:-1]) | (places[1:] > places[:-1] + 1)
+def _runs(rows: np.ndarray, places: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(row, start, length) of the runs of consecutive places, ordered by row."""
+    order = np.lexsort((places, rows))
+    rows, places = rows[order], places[order]
+    head = np.ones(len(rows), bool)
+    head[1:] = (rows[1:] != rows[:-1]) | (places[1:] > places[:-1] + 1)
     at = np.flatnonzero(head)
-    ends = np.append(at[1:], len(ids)) - 1
-    return ids[at], places[at], places[ends] - places[at] + 1
+    ends = np.append(at[1:], len(rows)) - 1
+    return rows[at], places[at], places[ends] - places[at] + 1
 
 
 def _window_blobs(candidates: DataFrame, window: int, buckets: int) -> DataFrame:
@@ -249,6 +254,7 @@ def _window_blobs(candidates: DataFrame, window: int, buckets: int) -> DataFrame
         for whole in batches:
             for batch in slices(whole, "_text"):
                 d = _Doc(batch.column("_id"), text_bytes(batch.column("_text")), (0, 1))
+                keys = batch.column("_key").to_numpy()
                 h, at = d.blocks(block)
                 if not len(h):
                     continue
@@ -260,86 +266,98 @@ def _window_blobs(candidates: DataFrame, window: int, buckets: int) -> DataFrame
                 want = np.unique(mix(values + (key << np.uint64(41))))
                 have = mix((h & _LOW) + (d.owner[at].astype(np.uint64) << np.uint64(41)))
                 spot = np.minimum(np.searchsorted(want, have), len(want) - 1)
-                none = np.uint64(2**64 - 1)
-                value = np.full(len(d.owner) + reach, none)
-                value[at] = np.where(want[spot] == have, mix(h), none)
-                least = np.lib.stride_tricks.sliding_window_view(value, reach).min(axis=1)[: len(d.owner)]
+                anchored = np.zeros(len(d.owner) + reach, np.int64)
+                anchored[at[want[spot] == have] + 1] = 1
+                anchored = np.cumsum(anchored)  # anchors before each word
                 w0, w1 = rolling(d.hashes[0], window, 0), rolling(d.hashes[1], window, 1)
-                start = np.flatnonzero((d.owner[: len(w0)] == d.owner[window - 1 :]) & (least[: len(w0)] != none)) if len(w0) else np.zeros(0, np.int64)
+                start = np.flatnonzero((d.owner[: len(w0)] == d.owner[window - 1 :]) & (anchored[reach : reach + len(w0)] > anchored[: len(w0)])) if len(w0) else np.zeros(0, np.int64)
                 if not len(start):
                     continue
-                b = _bucket(least[start], buckets)
-                ids, place = d.ids[d.owner[start]], d.place[start]
+                value = np.full(len(d.owner) + reach, np.uint64(2**64 - 1))
+                value[at] = mix(h)
+                half = (reach + 1) // 2
+                least = np.lib.stride_tricks.sliding_window_view(value, half).min(axis=1)
+                b = _bucket(mix(least[start] + mix(least[start + reach - half])), buckets)
+                row, place = d.owner[start], d.place[start]
                 # what an earlier document of this slice has is a repeat already
-                order = np.lexsort((ids, w1[start], w0[start]))
+                order = np.lexsort((d.ids[row], w1[start], w0[start]))
                 same = np.zeros(len(order), bool)
                 same[1:] = (w0[start][order][1:] == w0[start][order][:-1]) & (w1[start][order][1:] == w1[start][order][:-1])
                 group = np.cumsum(~same) - 1
-                least_id = ids[order][np.flatnonzero(~same)][group]
+                least_id = d.ids[row[order]][np.flatnonzero(~same)][group]
                 late = np.zeros(len(order), bool)
-                late[order] = ids[order] > least_id
+                late[order] = d.ids[row[order]] > least_id
                 out = []
+
+                def pack(bucket: int, rows: np.ndarray, places: np.ndarray, hashes: bytes | None, d=d, keys=keys, out=out) -> None:
+                    head = np.flatnonzero(np.append(True, rows[1:] != rows[:-1]))
+                    docs, counts = rows[head], np.diff(np.append(head, len(rows)))
+                    out.append((bucket, int(d.ids[docs[0]]), _pack_ids(d.ids[docs]), keys[docs].tobytes(), counts.astype("<u4").tobytes(), places.astype("<u4").tobytes(), hashes))
+
                 if late.any():
-                    run_ids, run_start, run_n = _runs(ids[late], place[late])
-                    spread = int(mix(run_ids[:1].astype(np.uint64))[0] % np.uint64(buckets))
-                    out.append((spread, int(run_ids[0]), _pack_ids(run_ids), np.concatenate([run_start, run_n]).astype("<u4").tobytes(), None))
-                b, ids, place, start = b[~late], ids[~late], place[~late], start[~late]
-                order = np.lexsort((place, ids, b))
-                b, ids, place, start = b[order], ids[order], place[order], start[order]
+                    run_row, run_start, run_n = _runs(row[late], place[late])
+                    pack(int(mix(d.ids[run_row[:1]].astype(np.uint64))[0] % np.uint64(buckets)), run_row, np.concatenate([run_start, run_n]), None)
+                b, row, place, start = b[~late], row[~late], place[~late], start[~late]
+                order = np.lexsort((place, row, b))
+                b, row, place, start = b[order], row[order], place[order], start[order]
                 cuts = np.flatnonzero(np.diff(b)) + 1
                 for i, k in zip([0, *cuts], [*cuts, len(b)], strict=True):
-                    pairs = np.stack([w0[start[i:k]], w1[start[i:k]]], axis=1)
-                    out.append((int(b[i]), int(ids[i]), _pack_ids(ids[i:k]), place[i:k].astype("<u4").tobytes(), pairs.tobytes()))
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array(c, type=t) for c, t in zip(zip(*out, strict=True), (pa.int32(), pa.int64(), pa.binary(), pa.binary(), pa.binary()), strict=True)], names=_WINDOWS.names
-                )
+                    pack(int(b[i]), row[i:k], place[i:k], np.stack([w0[start[i:k]], w1[start[i:k]]], axis=1).tobytes())
+                yield pa.RecordBatch.from_arrays([pa.array(c, type=t) for c, t in zip(zip(*out, strict=True), _WINDOWS_ARROW, strict=True)], names=_WINDOWS.names)
 
     return candidates.mapInArrow(work, _WINDOWS)
 
 
 def _repeats(blobs: DataFrame) -> DataFrame:
-    """(id, start, windows): runs of windows that a document with a smaller id has too."""
-    schema = T.StructType([T.StructField("id", T.LongType()), T.StructField("start", T.IntegerType()), T.StructField("windows", T.IntegerType())])
+    """(id, key, start, windows): runs of windows that a document with a smaller id has too."""
+    schema = T.StructType([T.StructField("id", T.LongType()), T.StructField("key", T.LongType()), T.StructField("start", T.IntegerType()), T.StructField("windows", T.IntegerType())])
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         now, seen = None, {}
         for batch in batches:
             found = []
-            for b, ids, places, pairs in zip(batch.column(0).to_pylist(), batch.column(2), batch.column(3), batch.column(4), strict=True):
+            for b, ids, keys, counts, places, pairs in zip(batch.column(0).to_pylist(), *[batch.column(c).to_pylist() for c in range(2, 7)], strict=True):
                 if b != now:
                     now, seen = b, {}
-                ids, places = _unpack_ids(ids.as_py()), np.frombuffer(places.as_py(), dtype="<u4").astype(np.int64)
-                raw = pairs.as_py()
-                if raw is None:  # runs that the slice knew
-                    found.append((ids, places[: len(ids)], places[len(ids) :]))
+                ids, keys, counts = _unpack_ids(ids), np.frombuffer(keys, dtype="<i8"), np.frombuffer(counts, dtype="<u4")
+                places, row = np.frombuffer(places, dtype="<u4").astype(np.int64), np.repeat(np.arange(len(ids)), counts)
+                if pairs is None:  # runs that the slice knew
+                    found.append((ids[row], keys[row], places[: len(row)], places[len(row) :]))
                     continue
                 set_first = seen.setdefault
-                first = np.fromiter((set_first(raw[16 * i : 16 * i + 16], d) for i, d in enumerate(ids.tolist())), dtype=np.int64, count=len(ids))
-                late = first < ids
+                first = np.fromiter((set_first(pairs[16 * i : 16 * i + 16], d) for i, d in enumerate(ids[row].tolist())), dtype=np.int64, count=len(row))
+                late = first < ids[row]
                 if late.any():
-                    found.append(_runs(ids[late], places[late]))
+                    run_row, start, n = _runs(row[late], places[late])
+                    found.append((ids[run_row], keys[run_row], start, n))
             if found:
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array(np.concatenate([f[0] for f in found])), *[pa.array(np.concatenate([f[k] for f in found]).astype(np.int32)) for k in (1, 2)]], names=schema.names
-                )
+                cols = [np.concatenate([f[k] for f in found]) for k in range(4)]
+                yield pa.RecordBatch.from_arrays([pa.array(c.astype(t)) for c, t in zip(cols, (np.int64, np.int64, np.int32, np.int32), strict=True)], names=schema.names)
 
     return blobs.repartition("bucket").sortWithinPartitions("bucket", "first").mapInArrow(work, schema)
 
 
+def text_key(text: str) -> Column:
+    """Tells texts of one id apart."""
+    return F.xxhash64(F.col(text))
+
+
 def repeated_runs(docs: DataFrame, window: int = WINDOW, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(id, runs): per document with repeats, its runs of repeated windows as structs (start word, number of windows)."""
+    """(id, key, runs): per document with repeats, its runs of repeated windows as structs (start word, number of windows). The key
+    is ``text_key`` of its text."""
     spark = docs.sparkSession
     ship(spark)
     buckets = BUCKETS * int(spark.conf.get("spark.sql.shuffle.partitions"))
     rows = docs.select(docs[id_col].cast("long").alias("_id"), docs[text_col].alias("_text"))
+    rows = rows.withColumn("_key", text_key("_text"))
     anchors = materialise(
         _anchors(_anchor_blobs(rows, window, buckets)).groupBy(F.col("id").alias("_aid")).agg(F.collect_list("h").alias("anchors")), "dedup-anchors"
     )
     # by sorting at every size: both sides grow with the corpus
     candidates = materialise(rows.join(anchors.hint("merge"), F.col("_id") == F.col("_aid")).drop("_aid"), "dedup-candidates")
-    ordered = candidates.repartitionByRange("_id").sortWithinPartitions("_id")
+    ordered = candidates.repartitionByRange("_id", "_key").sortWithinPartitions("_id", "_key")
     return materialise(
-        _repeats(_window_blobs(ordered, window, buckets)).groupBy("id").agg(F.collect_list(F.struct("start", "windows")).alias("runs")), "dedup-runs"
+        _repeats(_window_blobs(ordered, window, buckets)).groupBy("id", "key").agg(F.collect_list(F.struct("start", "windows")).alias("runs")), "dedup-runs"
     )
 
 
@@ -368,9 +386,10 @@ def remove_repeats(
 ) -> DataFrame:
     """The kept columns and the outputs, per row. A cut text loses what stands from a removed word to the next kept one;
     one without repeats stays as it is (null stays null)."""
-    runs = repeated_runs(docs, window, id_col, text_col).select(F.col("id").alias("_rid"), "runs")
+    runs = repeated_runs(docs, window, id_col, text_col).select(F.col("id").alias("_rid"), F.col("key").alias("_rkey"), "runs")
     rows = docs.select(*keep, docs[text_col].alias("_text"), docs[id_col].cast("long").alias("_id"))
-    rows = rows.join(runs.hint("merge"), F.col("_id") == F.col("_rid"), "left").drop("_rid", "_id")
+    rows = rows.withColumn("_key", text_key("_text"))
+    rows = rows.join(runs.hint("merge"), (F.col("_id") == F.col("_rid")) & (F.col("_key") == F.col("_rkey")), "left").drop("_rid", "_rkey", "_id", "_key")
     schema = T.StructType([*[rows.schema[c] for c in keep], *[T.StructField(o, OUTPUTS[o][0]) for o in outputs]])
 
     def one(raw: bytes | None, runs: list[dict] | None) -> dict:

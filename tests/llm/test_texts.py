@@ -6,6 +6,7 @@ import random
 import re
 from collections import Counter
 
+import duckdb
 import numpy as np
 import pyarrow as pa
 import pytest
@@ -273,6 +274,21 @@ def test_substring_dedup(docs, empty, window):
     assert substring_dedup.remove_repeats(empty, window).count() == 0
 
 
+def test_substring_dedup_ids_on_several_texts(spark):
+    """Rows of one id and different texts lose what smaller ids have, each its own words; positions may be beyond the other's end."""
+    passage, alone = prose(7, 90), prose(70, 400)
+    data = [(1, passage), (2, alone + " " + passage), (2, "short text"), (2, passage), (2, passage), (3, alone), (3, alone), (3, alone + " x"), (None, passage), (2, None)]
+    data += [(4, " ".join(["same"] * 80)), (4, " ".join(["same"] * 70)), (5, prose(70, 400)[: 1500])]
+    df = spark.createDataFrame(data, "doc_id long, text string").repartition(3)
+    got = substring_dedup.remove_repeats(df, outputs=("n_words", "n_removed", "kept_sha256")).toPandas()
+    con = duckdb.connect()
+    con.register("documents", df.toPandas().astype({"doc_id": "Int64"}))
+    want = con.execute(substring_dedup.OP7_SQL).df()
+    plain = lambda t: sorted(map(str, t[["doc_id", "n_words", "n_removed", "kept_sha256"]].astype(object).values.tolist()))
+    assert [x.replace("<NA>", "nan") for x in plain(want.astype({"doc_id": "float"}))] == plain(got.astype({"doc_id": "float"}))
+    assert got.n_removed.sum() == 90 * 3 + 400 * 3 + (want[want.doc_id == 5].n_removed.sum())
+
+
 def test_substring_dedup_many_copies(spark, monkeypatch):
     """Passages at shifted places in many documents, over several slices."""
     monkeypatch.setattr(substring_dedup, "WINDOW", 12)
