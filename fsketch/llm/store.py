@@ -20,11 +20,14 @@ _places: dict[str, str] = {}
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """URI of the folder in ``spark.checkpoint.dir``; one of our own only where that is unset (tests, one machine)."""
+    """URI of the folder in ``spark.checkpoint.dir``. Where that is unset, a local master gets a folder of its own; on a cluster,
+    whose machines would not see each other's files there, it is an error."""
     app = spark.sparkContext.applicationId
     if app not in _places:
         there = spark.conf.get("spark.checkpoint.dir", None)
         if not there:
+            if not spark.sparkContext.master.startswith("local"):
+                raise RuntimeError("spark.checkpoint.dir must name a folder that the driver and all executors share")
             there = "file://" + tempfile.mkdtemp(prefix="fsketch-")
             spark.sparkContext.setCheckpointDir(there)
         path = spark._jvm.org.apache.hadoop.fs.Path(there)
