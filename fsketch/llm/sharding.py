@@ -52,7 +52,8 @@ def assign_shards(
     if n_shards < 1:
         raise ValueError("n_shards must be positive")
     text = F.coalesce(F.col(text_col), F.lit(""))
-    md5 = F.md5(F.concat(F.lit(f"{seed}|"), F.coalesce(F.col(id_col).cast("string"), F.lit(""))))
+    # the text takes part, so that rows which share an id, or have none, are spread too
+    md5 = F.md5(F.concat(F.lit(f"{seed}|"), F.coalesce(F.col(id_col).cast("string"), F.lit("")), F.lit("|"), F.crc32(text).cast("string")))
     rows = materialise(
         docs.select(
             F.col(id_col).alias("id"), F.col(source_col).alias("source"),
@@ -123,13 +124,14 @@ with recursive bits(i, v, k) as (
   union all
   select i, case when v % 2 = 1 then xor(v // 2, 3988292384) else v // 2 end, k + 1 from bits where k < 8
 ), tab as (select list(v order by i) t from bits where k = 8
-), base as (
+), summed as (
   select doc_id, source, strlen(coalesce(text, ''))::BIGINT + 16 as size,
     xor(list_reduce(list_prepend(4294967295::BIGINT, list_transform(regexp_extract_all(hex(encode(coalesce(text, ''))), '..'),
       lambda x: ('0x' || x)::BIGINT)),
-      lambda a, b: xor(a // 256, t[1 + xor(a % 256, b)])), 4294967295)::BIGINT as text_crc32,
-    ('0x' || substr(md5('17|' || coalesce(doc_id::VARCHAR, '')), 1, 15))::BIGINT as key
+      lambda a, b: xor(a // 256, t[1 + xor(a % 256, b)])), 4294967295)::BIGINT as text_crc32
   from documents, tab
+), base as (
+  select *, ('0x' || substr(md5('17|' || coalesce(doc_id::VARCHAR, '') || '|' || text_crc32), 1, 15))::BIGINT as key from summed
 ), ranked as (
   select *, row_number() over (partition by source order by key, doc_id, text_crc32, size) as r, count(*) over (partition by source) as n from base
 ), placed as (
