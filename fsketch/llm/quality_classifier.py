@@ -5,11 +5,11 @@ random cosine features, whose inner products approximate a Gaussian kernel. Ridg
 equations, which are summed per partition; scores of rows that did not take part are calibrated to label rates by
 isotonic regression. Labels, language, source and id are never inputs.
 
-The classifier is fitted on at most ``max_rows`` labelled rows (those of least hash), four fifths of them for the weights
+The classifier is fitted on at most ``max_rows`` labelled ids (those of least hash), four fifths of them for the weights
 and the rest for the calibration; every row is scored.
 
 Defined cases: null and empty texts get the statistics of a text without words, and a score like any other; labels other
-than 0 and 1, unlabelled ids and null ids are not used; repeated labels of an id count once (the larger one); without labels of
+than 0 and 1, unlabelled ids and null ids are not used; repeated labels of an id count once (the larger one); of several texts of a labelled id the one of least hash takes part in the fit; without labels of
 both classes every score is the share of label 1 among those there are (0.5 if none); an empty table gives an empty result.
 """
 
@@ -134,11 +134,12 @@ class Model:
 
 def isotonic(scores: np.ndarray, labels: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Non-decreasing label rates that fit best, by pooling neighbours that are out of order."""
-    order = np.argsort(scores, kind="stable")
+    levels, at, counts = np.unique(scores, return_inverse=True, return_counts=True)  # equal scores are one point from the start
+    means = np.bincount(at, weights=labels, minlength=len(levels)) / counts
     pools: list[list[float]] = []  # rate, weight, first score, last score
-    for s, y in zip(scores[order].tolist(), labels[order].tolist(), strict=True):
-        pools.append([y, 1.0, s, s])
-        while len(pools) > 1 and (pools[-2][0] >= pools[-1][0] or pools[-2][3] == pools[-1][2]):
+    for s, y, n in zip(levels.tolist(), means.tolist(), counts.tolist(), strict=True):
+        pools.append([y, n, s, s])
+        while len(pools) > 1 and pools[-2][0] >= pools[-1][0]:
             rate, weight, _, last = pools.pop()
             top = pools[-1]
             top[0] = (top[0] * top[1] + rate * weight) / (top[1] + weight)
@@ -187,12 +188,18 @@ def fit_classifier(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", t
     """Fitted on labelled rows whose id's CRC is not divisible by five; a constant where there are not both classes."""
     usable = labels.select(F.col(id_col).alias("_id"), F.col(label_col).cast("int").alias("label"))
     usable = usable.where("_id is not null and label in (0, 1)").where(remainder("_id") != 0)
-    # rows of least hash; the two classes are taken as they come
-    chosen = usable.groupBy("_id").agg(F.max("label").alias("label")).withColumn("_h", F.xxhash64(F.lit(5), "_id")).orderBy("_h", "_id").limit(max_rows)
+    # ids of least hash; the two classes are taken as they come. A threshold leaves hardly more than are wanted before any row moves.
+    n = usable.agg(F.approx_count_distinct("_id", 0.02)).first()[0]
+    usable = usable.withColumn("_h", F.xxhash64(F.lit(5), "_id"))
+    share = 1.2 * max_rows / max(n, 1)  # the count is within some percent
+    if share < 1:
+        usable = usable.where(F.col("_h") < int((2 * share - 1) * (1 << 63)))
+    chosen = usable.groupBy("_id", "_h").agg(F.max("label").alias("label")).orderBy("_h", "_id").limit(max_rows)
     chosen = materialise(chosen, "classifier-labels")
     labelled = docs.select(docs[id_col].alias("_doc"), docs[text_col].alias("_text")).join(F.broadcast(chosen), F.col("_doc") == F.col("_id"))  # at most max_rows narrow rows
-    stats = document_statistics(labelled.select(F.struct("_id", "label", "_h").alias("key"), "_text"), "key", "_text").select("key.*", "stats")
-    train = materialise(stats.dropDuplicates(["_id"]).select("stats", "label", (F.pmod("_h", F.lit(5)) == 0).alias("calibrate")), "classifier-rows")
+    stats = document_statistics(labelled.select(F.struct("_id", "label", "_h", F.xxhash64("_text").alias("_t")).alias("key"), "_text"), "key", "_text").select("key.*", "stats")
+    one = stats.groupBy("_id", "_h", "label").agg(F.min_by("stats", "_t").alias("stats"))
+    train = materialise(one.select("stats", "label", (F.pmod("_h", F.lit(5)) == 0).alias("calibrate")), "classifier-rows")
     seen = train.groupBy("calibrate", "label").count().collect()
     ones, everything = sum(r["count"] for r in seen if r.label == 1), sum(r["count"] for r in seen)
     if any(len({r.label for r in seen if r.calibrate == c}) < 2 for c in (False, True)):
