@@ -14,7 +14,7 @@ import zstandard
 from pyspark.sql import functions as F
 
 import corpus_pipeline
-from fsketch.llm import quality_classifier, quality_rules, sharding, url_filters, warc
+from fsketch.llm import quality_classifier, quality_rules, sharding, store, url_filters, warc
 from fsketch.llm.queries import ORACLE_SQL
 
 from .conftest import prose, rows
@@ -83,6 +83,8 @@ def test_shards(spark, empty, bucket):
         assert abs(sum(r.source == "hot" for r in got if r.shard == s) / sizes[s] - 667 / 1003) < 0.1
     again = sharding.assign_shards(df.repartition(2), 40, bucket_rows=4096).collect()
     assert Counter(map(tuple, again)) == Counter(map(tuple, got))
+    nulls = spark.createDataFrame([(None, f"t{i}", "hot") for i in range(300)], "doc_id long, text string, source string")
+    assert sorted((r.shard, r.slot) for r in sharding.assign_shards(nulls, 3, bucket_rows=bucket).collect()) == [(a, b) for a in range(3) for b in range(100)]
     assert sharding.assign_shards(empty).count() == 0 and sharding.assign_shards(df.limit(3), 40).count() == 3
 
 
@@ -126,6 +128,40 @@ def test_classifier_edges(docs, empty, labels):
     assert {r.score for r in quality_classifier.classify(docs, labels.where("quality = 1")).collect()} == {1.0}
 
 
+def test_fit_by_brute_force(spark):
+    """Weights against ridge regression over all rows at once, calibration against the max-min formula of isotonic regression."""
+    rng = np.random.default_rng(4)
+    d = len(quality_classifier.STATISTICS)
+    x = rng.normal(size=(300, d))
+    y = (x[:, 0] + 0.5 * rng.normal(size=300) > 0).astype(int)
+    data = [(a.tolist(), int(b), i % 5 == 0) for i, (a, b) in enumerate(zip(x, y, strict=True))]
+    model = quality_classifier.fit(spark.createDataFrame(data, "stats array<double>, label int, calibrate boolean").repartition(7), features=40)
+    part = np.arange(300) % 5 != 0
+    z = np.concatenate([model.map(x), np.ones((300, 1))], axis=1)
+    penalty = np.full(41, quality_classifier.RIDGE * part.sum() / 40)
+    penalty[-1] = 1e-9 * part.sum()
+    want = np.linalg.lstsq(np.concatenate([z[part], np.diag(np.sqrt(penalty))]), np.concatenate([y[part], np.zeros(41)]), rcond=None)[0]
+    assert np.allclose(model.weights, want, atol=1e-6)
+    s = np.round(model.raw(x[~part]), 1)  # with ties
+    steps, rates = quality_classifier.isotonic(s, y[~part].astype(float))
+    levels = np.unique(s)
+    means = lambda a, b: y[~part][(s >= a) & (s <= b)].mean()
+    for v in levels:
+        best = max(min(means(a, b) for b in levels if b >= v) for a in levels if a <= v)
+        assert abs(np.interp(v, steps, rates) - best) < 1e-9
+
+
+def test_classifier_takes_one_text_of_an_id(spark):
+    """The fit does not depend on the order of rows where ids repeat with other texts, and takes no more ids than allowed."""
+    data = [(i % 150, prose(i, 20 + i % 30)) for i in range(450)]
+    labels = spark.createDataFrame([(i, i % 2) for i in range(150)], "doc_id long, quality int")
+    df = spark.createDataFrame(data, "doc_id long, text string")
+    a, b = ({(r.doc_id, round(r.score, 9)) for r in quality_classifier.classify(x, labels).collect()} for x in (df.repartition(2), df.orderBy(F.desc("text")).repartition(9)))
+    assert a == b
+    model = quality_classifier.fit_classifier(df, labels, max_rows=30)
+    assert 0 < len(model.steps) <= 30
+
+
 def test_isotonic():
     steps, rates = quality_classifier.isotonic(np.array([0.1, 0.2, 0.3, 0.4, 0.4]), np.array([0.0, 1.0, 0.0, 1.0, 1.0]))
     assert (np.diff(steps) >= 0).all() and (np.diff(rates) >= 0).all() and rates[0] == 0 and rates[-1] == 1 and 0.5 in rates
@@ -151,7 +187,7 @@ def test_url_rules_and_graph(spark):
     hosts = sorted({h for e in edges for h in e} | {r.host for r in got.values() if r.host})
     for kind, pairs, seed in (("trust", edges, {"b.com": 1.0}), ("distrust", {(b, a): n for (a, b), n in edges.items()}, {"a.example.org": 1 / 3, "example.org": 1 / 3, "b.com": 1 / 3})):
         v = {h: seed.get(h, 0.0) for h in hosts}
-        for _ in range(url_filters.ROUNDS):
+        for _ in range(200):
             moved = Counter()
             for (a, b), n in pairs.items():
                 moved[b] += 0.85 * v[a] * n / sum(m for (x, _), m in pairs.items() if x == a)
@@ -166,6 +202,53 @@ def test_url_rules_and_graph(spark):
     assert url_filters.filter_urls(pages.limit(0), url_filters.RULES).count() == 0
 
 
+def test_propagation_settles(spark):
+    """Cycles and a chain of 60 hosts against a linear solve, and the query against its SQL there."""
+    chain = [(f"c{i}.net", f"c{i + 1}.net", 1) for i in range(60)]
+    edges = [("a.net", "b.net", 2), ("b.net", "a.net", 1), ("b.net", "c0.net", 3), ("hub.net", "a.net", 1), *chain, ("c60.net", "hub.net", 1)]
+    hosts = sorted({h for e in edges for h in e[:2]})
+    seeds = [("trust", "a.net", 1.0), ("distrust", "c60.net", 0.5), ("distrust", "b.net", 0.5)]
+    got = url_filters.propagate(spark.createDataFrame(edges, "src string, dst string, n long"), spark.createDataFrame(seeds, "kind string, host string, mass double"))
+    got = {(r.kind, r.host): r["rank"] for r in got.collect()}
+    for kind, pairs in (("trust", edges), ("distrust", [(b, a, n) for a, b, n in edges])):
+        step = np.zeros((len(hosts), len(hosts)))
+        for a, b, n in pairs:
+            step[hosts.index(b), hosts.index(a)] += n / sum(m for x, _, m in pairs if x == a)
+        x = np.linalg.solve(np.eye(len(hosts)) - 0.85 * step, [sum(m for k, s, m in seeds if (k, s) == (kind, h)) for h in hosts])
+        assert np.allclose(x / x.sum(), [got.get((kind, h), 0.0) for h in hosts], atol=1e-8)
+    two = url_filters.propagate(spark.createDataFrame([("a", "b", 1), ("b", "a", 1)], "src string, dst string, n long"), spark.createDataFrame([("trust", "a", 1.0)], "kind string, host string, mass double"))
+    assert {r.host: round(r["rank"], 4) for r in two.collect()} == {"a": 0.5405, "b": 0.4595}
+    page = lambda i, h, path, *to: (i, f"http://{h}{path}", link(*[f"http://{t}/" for t in to]))
+    linked = [page(1, "seed.com", "/fr/", "friend.net"), page(2, "bad.com", "/de/", "x.net"), page(3, "spam.net", "/", "bad.com", "mill.net"), page(4, "mill.net", "/", "spam.net", "bad.com"), page(5, "friend.net", "/", "seed.com")]
+    pages = spark.createDataFrame([*linked, *[page(10 + i, f"h{i}.net", "/", f"h{(i + 1) % 40}.net") for i in range(40)]], "page_id long, url string, html string")
+    mine = url_filters.filter_urls(pages, url_filters.RULES).select("page_id", "host", "path", "rule", "verdict").toPandas()
+    con = duckdb.connect()
+    con.register("pages", pages.toPandas())
+    theirs = con.execute(url_filters.OP3_SQL).df()[list(mine.columns)]
+    rows_of = lambda df: sorted(map(str, df.astype(object).where(df.notna(), None).values.tolist()))
+    assert rows_of(mine) == rows_of(theirs) and set(mine[mine.verdict == "block"].page_id) >= {2, 3, 4} and mine[mine.page_id == 5].verdict.tolist() == ["allow"]
+
+
+def test_rule_ties_are_the_same_on_both_ways(spark):
+    rules = [("allow", "x.com", "/abcdef"), ("block", "com", "/abcdefgh"), ("allow", "y.com", "/a"), ("block", "y.com", "/a"), ("allow", "com", ""), ("block", None, "/"), ("block", "z.com", None)]
+    pages = spark.createDataFrame([(1, "http://x.com/abcdefgh", ""), (2, "http://y.com/abc", ""), (3, "http://z.com/", ""), (4, "http://q.x.com/abcdefgh", None)], "page_id long, url string, html string")
+    table = spark.createDataFrame(rules, "verdict string, rule_host string, rule_path string")
+    a, b = ({r.page_id: (r.rule, r.verdict) for r in url_filters.filter_urls(pages, x).collect()} for x in (rules, table))
+    assert a == b == {1: ("x.com/abcdef", "allow"), 2: ("y.com/a", "block"), 3: ("com", "allow"), 4: ("x.com/abcdef", "allow")}
+
+
+def test_shared_folder_is_required_on_a_cluster():
+    class Session:
+        class sparkContext:
+            applicationId, master = "none", "spark://host:7077"
+
+        class conf:
+            get = staticmethod(lambda name, default=None: default)
+
+    with pytest.raises(RuntimeError):
+        store.shared_dir(Session)
+
+
 def test_archives(spark):
     data = [(1, "http://a/", "same"), (2, "http://b/\r\nX: y", "same"), (3, None, ""), (4, "u", None), (5, "u", "x" * 300_000), (7, "u", "é日" * 50), (7, "u", "é日" * 50), (None, "n", "other"), (9, "p", "blank\r\n\r\nline")]
     pages = spark.createDataFrame(data, "page_id long, url string, html string").repartition(3)
