@@ -1,26 +1,32 @@
 """Benchmark decontamination by latent semantic retrieval, for copies and paraphrases.
 
-1. Benchmark texts are cut into passages. Their words get inverse document frequencies from all documents of the corpus
-   (words in over half of them tell nothing, unless a passage has hardly any others), and the TF-IDF matrix of the passages a randomised SVD: its rows stay distributed, partitions multiply them with the
-   current basis and send sums whose size is (words of the block) x (rank), over some power rounds.
-2. Every window of every document is folded into the latent space, where words that no passage has weigh nothing, and
-   compared with all passages by cosine, in blocks. Windows overlap by half.
-3. Around each candidate the longest common subsequence of words decides: a large part of the passage in order is a copy; a
-   smaller part is a paraphrase if the answer, given or else the passage's last words, is there in order too.
-
-The benchmark is the stated query set: it is worked through in blocks of at most ``block_passages`` passages, and never more than the rank: then the latent space holds every passage of its block whole. So the basis
-and vectors that go to the executors have a fixed bound. The corpus only streams past them; nothing of it is sampled or cut.
+1. Benchmark texts are cut into passages, which are dealt into blocks by hash. Their words get inverse document frequencies from
+   all documents of the corpus, in one pass for all blocks (words in over half of them tell nothing, unless a passage has hardly
+   any others), and the TF-IDF matrix of a block's passages a randomised SVD: its rows stay distributed, partitions multiply
+   them with the current basis and send sums whose size is (words of the block) x (rank), over some power rounds. The rank
+   is half of a block's passages, so the latent space is narrower than the passages whatever the size of the benchmark; a
+   passage that would keep less than ``LEAST_HELD`` of its length there gets a direction of its own.
+2. Every window of every document is folded into the latent spaces, where words that no passage has weigh nothing, and
+   compared with all passages by cosine. Windows overlap by half.
+3. Around each candidate the longest common subsequence of words decides: a large part of the passage in order is a copy; half of
+   it is a paraphrase if the answer is there in order too, or if the item has no answer.
+
+The benchmark is the stated query set. It stays a table; the driver holds one block of it at a time, and one part of its
+words. A pass of the corpus takes a group of blocks, whose vectors are broadcast and have a fixed bound; further groups follow
+in the same stage, so the corpus is read twice in all. Nothing of it is sampled or cut.
 
 Words are runs of bytes other than ASCII white space and punctuation, with A-Z and the Latin-1 capitals lower-cased.
 
-Defined cases: null and empty texts, and benchmark texts without words, never match; null ids are carried; repeated rows of
-documents are reported each and those of the benchmark once; empty tables give an empty result; other columns are
-ignored. Benchmark ids are integers.
+Defined cases: null and empty texts, and benchmark texts without words, never match; a null answer, or one without words, is
+none; null ids are carried; repeated rows of documents are reported each and those of the benchmark once; empty tables give an
+empty result; other columns are ignored. Benchmark ids are integers.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import reduce
+from itertools import islice
 
 import numpy as np
 import pyarrow as pa
@@ -29,7 +35,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from .arrow import slices, text_bytes
-from .store import ship
+from .store import materialise, ship
 from .words import buffer_of, word_hashes, word_places
 
 #: ASCII punctuation separates words here, like white space.
@@ -41,14 +47,18 @@ SEPARATES[[0x20, *range(0x09, 0x0E), *_PUNCTUATION]] = True
 
 WINDOW_WORDS = 32
 PASSAGE_WORDS = 96
-RANK = 256
+#: Passages of a block, on average, and dimensions of its latent space.
+BLOCK_PASSAGES = 256
+RANK = 128
 OVERSAMPLE = 16
 POWER_ROUNDS = 2
-BLOCK_PASSAGES = RANK
-LEAST_COSINE = 0.6
+#: Blocks that a pass of the corpus takes (some MB each), and words whose documents are counted at a time.
+GROUP_BLOCKS = 64
+PART_WORDS = 1 << 22
+LEAST_HELD = 0.5
+LEAST_COSINE = 0.7
 COPY_SHARE = 0.8
-PARAPHRASE_SHARE = 0.6
-ANSWER_WORDS = 6
+PARAPHRASE_SHARE = 0.5
 ANSWER_SHARE = 0.75
 #: Documents without any benchmark word that are added to the corpus's counts: frequencies in a few documents say little.
 PSEUDO_DOCS = 20
@@ -86,7 +96,7 @@ def _masks(words: list[int]) -> dict[int, int]:
 
 
 def passages(benchmark: DataFrame, id_col: str, text_col: str, answer_col: str | None, most: int = PASSAGE_WORDS) -> DataFrame:
-    """(item, part, words, answer): word hashes of each passage; long texts give several that overlap by half."""
+    """(item, part, words, answer): word hashes of each passage, and of the item's answer; long texts give several that overlap by half."""
     ship(benchmark.sparkSession)
     rows = benchmark.select(F.col(id_col).cast("long").alias("item"), F.col(text_col).alias("_text"), (F.col(answer_col) if answer_col else F.lit(None)).cast("string").alias("_answer"))
     rows = rows.distinct()
@@ -101,7 +111,6 @@ def passages(benchmark: DataFrame, id_col: str, text_col: str, answer_col: str |
         for batch in batches:
             out = []
             for item, words, answer in zip(batch.column("item").to_pylist(), split(batch.column("_text")), split(batch.column("_answer")), strict=True):
-                answer = answer or words[-ANSWER_WORDS:]
                 for part, at in enumerate(range(0, max(len(words) - most // 2, 1), most // 2)):
                     if words[at : at + most]:
                         out.append({"item": item, "part": part, "words": words[at : at + most], "answer": answer})
@@ -116,7 +125,7 @@ _PASSAGES = pa.schema([("item", pa.int64()), ("part", pa.int32()), ("words", pa.
 def document_frequencies(docs: DataFrame, vocabulary: np.ndarray, text_col: str = "text") -> tuple[int, np.ndarray]:
     """Number of documents, and of those that hold each word of the (sorted) vocabulary."""
     ship(docs.sparkSession)
-    known = docs.sparkSession.sparkContext.broadcast(vocabulary)  # bounded by block_passages x PASSAGE_WORDS
+    known = docs.sparkSession.sparkContext.broadcast(vocabulary)  # PART_WORDS or so at most
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         v = known.value
@@ -196,6 +205,22 @@ def randomised_svd(rows: DataFrame, vocabulary: np.ndarray, idf: np.ndarray, ran
     return basis @ vectors[:, order], np.sqrt(np.maximum(values[order], 0))
 
 
+def completed(loadings: np.ndarray, items: list, vocabulary: np.ndarray, idf: np.ndarray, least: float = LEAST_HELD) -> np.ndarray:
+    """The basis with what it lacks of the passages that it holds badly."""
+    rest = []
+    for _, words, _ in items:
+        cols, weights = tfidf_row(np.array(words, dtype=np.int64).view(np.uint64), vocabulary, idf)
+        inside = weights @ loadings[cols]
+        if np.linalg.norm(inside) < least:
+            own = -loadings @ inside
+            own[cols] += weights
+            rest.append(own)
+    if not rest:
+        return loadings
+    more, sizes = np.linalg.qr(np.array(rest).T)
+    return np.concatenate([loadings, more[:, np.abs(np.diag(sizes)) > 1e-9]], axis=1)
+
+
 class Searcher:
     """Compares the windows of texts with the passages of one block."""
 
@@ -203,6 +228,12 @@ class Searcher:
         self.vocabulary, self.least = vocabulary, least_cosine
         self.weighted = (loadings * idf[:, None]).astype(np.float32)
         self.items = [(item, words, _masks(words), answer, _masks(answer)) for item, words, answer in items]
+        # which of all the block's words a passage has; the last column is for others
+        self.words = np.unique(np.concatenate([np.array(w, dtype=np.int64) for _, w, _ in items]))
+        self.lengths = np.array([len(w) for _, w, _ in items])
+        self.member = np.zeros((len(items), len(self.words) + 1), bool)
+        for k, (_, words, _) in enumerate(items):
+            self.member[k, np.searchsorted(self.words, np.array(words, dtype=np.int64))] = True
         rows = []
         for _, words, *_ in self.items:
             cols, weights = tfidf_row(np.array(words, dtype=np.int64).view(np.uint64), vocabulary, idf)
@@ -210,8 +241,8 @@ class Searcher:
         latent = np.array(rows, dtype=np.float32).reshape(len(rows), -1)
         self.latent = latent / np.maximum(np.linalg.norm(latent, axis=1, keepdims=True), 1e-12)
 
-    def candidates(self, h: np.ndarray, owner: np.ndarray, n_texts: int) -> Iterator[tuple[int, int, int, float]]:
-        """(text, first word in the text, passage, cosine) of windows that are close to a passage."""
+    def candidates(self, h: np.ndarray, owner: np.ndarray, n_texts: int) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
+        """(text, first word in the text, passage, cosine) of windows that are close to a passage, in parts."""
         half = WINDOW_WORDS // 2
         counts = np.bincount(owner, minlength=n_texts)
         first = np.cumsum(counts) - counts
@@ -237,34 +268,45 @@ class Searcher:
         pair /= np.maximum(np.linalg.norm(pair, axis=1, keepdims=True), 1e-12)
         for i in range(0, total, 4096):
             close = pair[i : i + 4096] @ self.latent.T
-            for w, p in zip(*np.nonzero(close >= self.least), strict=True):
-                b = i + int(w)
-                yield int(text[b]), int(b - block_first[text[b]]) * half, int(p), float(close[w, p])
+            w, p = np.nonzero(close >= self.least)
+            yield text[i + w], (i + w - block_first[text[i + w]]) * half, p, close[w, p]
 
-    def leaks(self, h: np.ndarray, owner: np.ndarray, n_texts: int) -> dict[tuple[int, int], tuple[int, float, float, float]]:
+    def leaks(self, h: np.ndarray, owner: np.ndarray, n_texts: int) -> dict[tuple[int, int], tuple[int, float, float, float | None]]:
         """(text, item) -> first word of the place, cosine, shares of the passage and of the answer found, for the best place."""
         counts = np.bincount(owner, minlength=n_texts)
         first = np.cumsum(counts) - counts
         signed = h.view(np.int64)
-        found: dict[tuple[int, int], tuple[int, float, float, float]] = {}
+        at = np.minimum(np.searchsorted(self.words, signed), len(self.words) - 1)
+        at = np.where(self.words[at] == signed, at, len(self.words))
+        found: dict[tuple[int, int], tuple[int, float, float, float | None]] = {}
         for text, start, p, cosine in self.candidates(h, owner, n_texts):
-            item, words, masks, answer, answer_masks = self.items[p]
-            m = len(words)
-            low, high = max(0, start - m), min(int(counts[text]), start + WINDOW_WORDS + m)
-            region = signed[first[text] + low : first[text] + high].tolist()
-            # no more words can be common in order than are common at all
-            if sum(masks[w].bit_count() for w in masks.keys() & set(region)) < PARAPHRASE_SHARE * m:
+            for k in range(0, len(text), 2048):
+                self._settle(found, signed, at, counts, first, *(x[k : k + 2048] for x in (text, start, p, cosine)))
+        return found
+
+    def _settle(self, found, signed, at, counts, first, text, start, p, cosine) -> None:
+        m = self.lengths[p]
+        low, high = np.maximum(0, start - m), np.minimum(counts[text], start + WINDOW_WORDS + m)
+        # no more words can be common in order than are common at all
+        size = high - low
+        ends = np.cumsum(size)
+        place = np.arange(int(ends[-1]) if len(ends) else 0) + np.repeat(first[text] + low - (ends - size), size)
+        common = np.add.reduceat(self.member[np.repeat(p, size), at[place]], ends - size, dtype=np.int64) if len(place) else size
+        for k in np.flatnonzero(common >= PARAPHRASE_SHARE * m).tolist():
+            item, _, masks, answer, answer_masks = self.items[p[k]]
+            n, begin = int(m[k]), int(first[text[k]])
+            region = signed[begin + int(low[k]) : begin + int(high[k])].tolist()
+            if sum(masks[w].bit_count() for w in masks.keys() & set(region)) < PARAPHRASE_SHARE * n:
                 continue
-            share = common_subsequence(region, masks, m) / m
+            share = common_subsequence(region, masks, n) / n
             if share < PARAPHRASE_SHARE:
                 continue
-            told = common_subsequence(region, answer_masks, len(answer)) / len(answer)
-            if share < COPY_SHARE and told < ANSWER_SHARE:
+            told = common_subsequence(region, answer_masks, len(answer)) / len(answer) if answer else None
+            if share < COPY_SHARE and told is not None and told < ANSWER_SHARE:
                 continue
-            key = (text, item)
+            key = (int(text[k]), item)
             if key not in found or share > found[key][2]:
-                found[key] = (low, cosine, share, told)
-        return found
+                found[key] = (int(low[k]), float(cosine[k]), share, told)
 
 
 LEAK = T.StructType([
@@ -274,43 +316,67 @@ LEAK = T.StructType([
 _LEAKS = pa.list_(pa.struct([("item", pa.int64()), ("first_word", pa.int64()), ("cosine", pa.float64()), ("lcs_share", pa.float64()), ("answer_share", pa.float64())]))
 
 
+def word_frequencies(docs: DataFrame, table: DataFrame, text_col: str = "text") -> tuple[int, DataFrame]:
+    """Number of documents, and (word, n): those that hold each word of the passages. One pass per ``PART_WORDS`` words."""
+    words = materialise(table.select(F.explode("words").alias("word")).distinct(), "leak-words")
+    parts = max(1, -(-words.count() // PART_WORDS))
+    n_docs, out = 0, []
+    for part in range(parts):
+        mine = words.where(F.pmod(F.xxhash64("word"), F.lit(parts)) == part)
+        vocabulary = np.sort(np.fromiter((r.word for r in mine.toLocalIterator()), dtype=np.int64).view(np.uint64))
+        if len(vocabulary):
+            n_docs, df = document_frequencies(docs, vocabulary, text_col)
+            frame = pa.table({"word": vocabulary.view(np.int64), "n": df})
+            out.append(materialise(docs.sparkSession.createDataFrame(frame), "leak-frequencies"))
+    return n_docs, reduce(DataFrame.unionByName, out) if out else words.withColumn("n", F.lit(0).cast("long"))
+
+
+def prepared(docs: DataFrame, table: DataFrame, text_col: str, rank: int, block_passages: int) -> Iterator[tuple]:
+    """(items, vocabulary, weights, loadings) of each block of passages; one is held at a time."""
+    blocks = max(1, -(-table.count() // block_passages))
+    table = materialise(table.withColumn("block", F.pmod(F.xxhash64("item", "part"), F.lit(blocks))), "leak-blocks")
+    n_docs, frequencies = word_frequencies(docs, table, text_col)
+    for block in range(blocks):
+        rows = table.where(F.col("block") == block)
+        items = [(r.item, list(r.words), list(r.answer or [])) for r in rows.orderBy("item", "part").toLocalIterator()]
+        if not items:
+            continue
+        mine = rows.select(F.explode("words").alias("word")).distinct().join(frequencies, "word").toLocalIterator()
+        known = np.array(sorted((r.word & (2**64 - 1), r.n) for r in mine), dtype=np.uint64).reshape(-1, 2)
+        vocabulary, idf = telling(items, known[:, 0], n_docs, known[:, 1].astype(np.int64))
+        loadings, _ = randomised_svd(rows.repartition(4), vocabulary, idf, rank)
+        yield items, vocabulary, idf, completed(loadings, items, vocabulary, idf).astype(np.float32)
+
+
 def mark_leaks(
     docs: DataFrame, benchmark: DataFrame, text_col: str = "text", keep: tuple[str, ...] = ("doc_id",), item_col: str = "item_id", item_text_col: str = "text",
     answer_col: str | None = None, rank: int = RANK, least_cosine: float = LEAST_COSINE, block_passages: int = BLOCK_PASSAGES,
 ) -> DataFrame:
     """The kept columns and ``leaks``, an array of structs with one entry per benchmark item that the row's text holds."""
     spark = docs.sparkSession
-    block_passages = min(block_passages, rank)
-    rows = passages(benchmark, item_col, item_text_col, answer_col)
-    items = [(r.item, list(r.words), list(r.answer)) for r in rows.orderBy("item", "part").toLocalIterator()]  # the query set, in blocks
+    table = materialise(passages(benchmark, item_col, item_text_col, answer_col), "leak-passages")
     out = docs.select(*keep, docs[text_col].alias("_text"), F.array().cast(T.ArrayType(LEAK)).alias("leaks"))
-    names = [*keep, "_text", "leaks"]
-    schema = T.StructType([T.StructField(f.name, f.dataType) for f in out.schema.fields])
-    for at in range(0, len(items), block_passages):
-        block = items[at : at + block_passages]
-        vocabulary = np.unique(np.concatenate([np.array(w, dtype=np.int64) for _, w, _ in block]).view(np.uint64))
-        n_docs, df = document_frequencies(docs, vocabulary, text_col)
-        vocabulary, idf = telling(block, vocabulary, n_docs, df)
-        matrix = spark.createDataFrame([(w,) for _, w, _ in block], "words array<long>").repartition(4)
-        loadings, _ = randomised_svd(matrix, vocabulary, idf, rank)
-        sent = spark.sparkContext.broadcast((block, vocabulary, idf, loadings))
-        last = at + block_passages >= len(items)
-
-        def work(batches: Iterator[pa.RecordBatch], sent=sent, last=last) -> Iterator[pa.RecordBatch]:
-            searcher = Searcher(*sent.value, least_cosine)
+    names, schema = out.columns, T.StructType([T.StructField(f.name, f.dataType) for f in out.schema.fields])
+    each = prepared(docs, table, text_col, rank, block_passages)
+    while group := list(islice(each, GROUP_BLOCKS)):
+        sent = spark.sparkContext.broadcast(group)
+
+        def work(batches: Iterator[pa.RecordBatch], sent=sent) -> Iterator[pa.RecordBatch]:
+            searchers = [Searcher(*block, least_cosine) for block in sent.value]
             for whole in batches:
                 for batch in slices(whole, "_text"):
                     h, owner = folded_words(text_bytes(batch.column("_text")))
                     leaks = batch.column("leaks").to_pylist()
-                    for (text, item), (place, cosine, share, told) in searcher.leaks(h, owner, batch.num_rows).items():
-                        same = [x for x in leaks[text] if x["item"] == item]
-                        if same and same[0]["lcs_share"] >= share:
-                            continue
-                        leaks[text] = [x for x in leaks[text] if x["item"] != item] + [{"item": item, "first_word": place, "cosine": cosine, "lcs_share": share, "answer_share": told}]
-                    columns = [batch.column(c) for c in keep] + ([] if last else [batch.column("_text")]) + [pa.array(leaks, type=_LEAKS)]
-                    yield pa.RecordBatch.from_arrays(columns, names=[n for n in names if not (last and n == "_text")])
-
-        out = out.mapInArrow(work, T.StructType([f for f in schema.fields if not (last and f.name == "_text")]))
+                    for searcher in searchers:
+                        for (text, item), (place, cosine, share, told) in searcher.leaks(h, owner, batch.num_rows).items():
+                            same = [x for x in leaks[text] if x["item"] == item]
+                            if same and same[0]["lcs_share"] >= share:
+                                continue
+                            leaks[text] = [x for x in leaks[text] if x["item"] != item] + [{"item": item, "first_word": place, "cosine": cosine, "lcs_share": share, "answer_share": told}]
+                    columns = [*[batch.column(c) for c in names[:-1]], pa.array(leaks, type=_LEAKS)]
+                    yield pa.RecordBatch.from_arrays(columns, names=names)
+
+        out = out.mapInArrow(work, schema)
     return out.select(*keep, "leaks")
 
 

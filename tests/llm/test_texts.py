@@ -361,6 +361,9 @@ def test_answers_decide_on_paraphrases(spark):
     kept = " ".join(w for w in loose if not w.startswith("new"))
     found = [decontamination.find_leaks(df, bench(a), answer_col="answer", least_cosine=0.3).count() for a in (kept, "not at all there")]
     assert found == [1, 0]
+    # without an answer half of the passage in order is enough
+    assert [decontamination.find_leaks(df, bench(a), answer_col="answer").count() for a in (None, " .,")] == [1, 1]
+    assert decontamination.find_leaks(df, bench("not at all there")).count() == 1
 
 
 def test_randomised_svd(spark):
