@@ -17,11 +17,11 @@ from . import seed as seeds
 from .solve import Solution
 
 
-def kmeans(df: DataFrame, k: int, restarts: int = 3, iters: int = 20, seed: int = 42, prefix: str = "z") -> tuple[np.ndarray, float]:
-    """Lloyd from several starts; the best WCSS in standardised space."""
+def kmeans(df: DataFrame, k: int, restarts: int = 3, iters: int = 20, seed: int = 42, prefix: str = "z", init: str | None = None, tol: float = 1e-4) -> tuple[np.ndarray, float]:
+    """Lloyd from several starts (by hash the first, then k-means++, or all by ``init``); the best WCSS in standardised space."""
     best = None
     for r in range(restarts):
-        c, _ = lloyd.run(df, seeds.initial(df, k, "plusplus" if r else "hash", seed + r, prefix), iters, prefix=prefix)
+        c, _ = lloyd.run(df, seeds.initial(df, k, init or ("plusplus" if r else "hash"), seed + r, prefix), iters, tol, prefix)
         value = lloyd.step(df, c, prefix)[1]
         if best is None or value < best[1]:
             best = (c, value)
@@ -109,6 +109,12 @@ def compressive(spark: SparkSession, z: np.ndarray, w: np.ndarray, k: int, low:
     return np.array(best.c).reshape(k, -1), np.array(best.a), best.value
 
 
+def pushes(k: int, d: int, delta: float, t: int, seed: int = 42) -> np.ndarray:
+    """What moves the means in step t: random directions, at most delta / 2 long."""
+    push = np.array([[py_normal("push", seed, t, g, i) for i in range(d)] for g in range(k)])
+    return push * delta / 2 * np.array([[py_uniform("len", seed, t, g)] for g in range(k)]) / np.linalg.norm(push, axis=1, keepdims=True)
+
+
 def noisy_kmeans(df: DataFrame, k: int, delta: float = 0.1, iters: int = 15, seed: int = 42, prefix: str = "z") -> tuple[np.ndarray, list[float]]:
     """k-means under bounded noise: any centroid within ``delta`` of the nearest squared distance may be taken (the one a hash
     prefers), and means are moved by at most ``delta / 2``."""
@@ -121,9 +127,7 @@ def noisy_kmeans(df: DataFrame, k: int, delta: float = 0.1, iters: int = 15, see
         labelled = df.withColumn("d2", least).withColumn("g", (F.array_position(ranked, F.array_max(ranked)) - 1).cast("int"))
         means, _, spread = lloyd.cluster_means(labelled, k, prefix)
         history.append(float(spread.sum()))
-        push = np.array([[py_normal("push", seed, t, g, i) for i in range(len(cols))] for g in range(k)])
-        push *= delta / 2 * np.array([[py_uniform("len", seed, t, g)] for g in range(k)]) / np.linalg.norm(push, axis=1, keepdims=True)
-        c = np.where(np.isnan(means), c, means + push)
+        c = np.where(np.isnan(means), c, means + pushes(k, len(cols), delta, t, seed))
     return c, history
 
 
@@ -153,16 +157,18 @@ def assign_qubo(df: DataFrame, k: int, iters: int = 10, budget: int = 50_000_000
     if states > budget:
         return None, Solution(None, None, states, "no_solution")
     cols, c = feature_names(df, prefix), seeds.initial(df, k, "hash", seed, prefix)
-    spark = df.sparkSession
     value = 0.0
     for _ in range(iters):
+        # all states of a row are tried within the row: nothing moves
         d2 = F.array(*[squared_distance(cols, v) for v in c])
         rows = df.withColumn("_d", d2).withColumn("_pen", F.aggregate("_d", F.lit(1.0), lambda a, x: a + x))
-        bit = lambda g: F.shiftright("state", g).bitwiseAND(F.lit(1))
-        energy = sum((bit(g) * F.get("_d", g) for g in range(k)), F.lit(0.0)) + F.col("_pen") * F.pow(F.lit(1) - sum((bit(g) for g in range(k)), F.lit(0)), F.lit(2))
-        tried = rows.crossJoin(F.broadcast(spark.range(1 << k).withColumnRenamed("id", "state")))  # 2^k states, within the budget
-        best = tried.groupBy("row_key", *cols, "_d").agg(F.min_by("state", F.struct(energy.alias("e"), "state")).alias("state"))
-        labelled = best.withColumn("g", F.log2(F.col("state").cast("double")).cast("int"))
+
+        def energy(state):
+            bit = lambda g: F.shiftright(state, g).bitwiseAND(F.lit(1))
+            return sum((bit(g) * F.get("_d", g) for g in range(k)), F.lit(0.0)) + F.col("_pen") * F.pow(F.lit(1) - sum((bit(g) for g in range(k)), F.lit(0)), F.lit(2))
+
+        tried = F.transform(F.sequence(F.lit(0), F.lit((1 << k) - 1)), lambda s: F.struct(energy(s).alias("e"), s.alias("state")))
+        labelled = rows.withColumn("g", F.log2(F.array_min(tried)["state"].cast("double")).cast("int"))
         labelled = labelled.withColumn("d2", F.element_at("_d", F.col("g") + 1))
         means, _, spread = lloyd.cluster_means(labelled, k, prefix)
         new, value = np.where(np.isnan(means), c, means), float(spread.sum())

@@ -22,3 +22,8 @@ def draw(spark: SparkSession, m: int, d: int, sigma: float = 1.0, seed: int = 42
     """The same frequencies as a table (j, w)."""
     w = F.array(*[sigma * normal("w", seed, F.col("id"), c) for c in range(d)])
     return spark.range(m).select(F.col("id").cast("int").alias("j"), w.alias("w"))
+
+
+def to_frame(spark: SparkSession, w: np.ndarray) -> DataFrame:
+    """Given frequencies as a table (j, w)."""
+    return spark.createDataFrame([(j, [float(x) for x in row]) for j, row in enumerate(w)], "j int, w array<double>")

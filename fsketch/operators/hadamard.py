@@ -61,34 +61,55 @@ def rescale(mu: DataFrame) -> DataFrame:
     return mu.select("j", (stretch * F.col("re") - (F.col("slots") - F.col("b")) / F.col("b")).alias("re"), (stretch * F.col("im")).alias("im"), F.col("b").alias("n"))
 
 
-def estimate_sketch(df: DataFrame, m: int, b: int = 256, n_shots: int | None = 1024, sampling: str = "per_frequency", sigma: float = 1.0, seed: int = 42, mode: str = "hash", contrast: float = 1.0, flip: float = 0.0, prefix: str = "z") -> DataFrame:
-    """(j, re, im, n): the data sketch by phase sampling; phases are computed for sampled rows only."""
+def estimate_sketch(df: DataFrame, m: int, b: int = 256, n_shots: int | None = 1024, sampling: str = "per_frequency", sigma: float = 1.0, seed: int = 42, mode: str = "hash", contrast: float = 1.0, flip: float = 0.0, prefix: str = "z", n: int | None = None) -> DataFrame:
+    """(j, re, im, n): the data sketch by phase sampling; phases are computed for sampled rows only. ``n`` saves counting the rows."""
     spark, d = df.sparkSession, len(feature_names(df, prefix))
     if sampling == "exact":
         return sketch.exact(df, freq.matrix(m, d, sigma, seed), prefix=prefix)
     frequencies = freq.draw(spark, m, d, sigma, seed)
     if sampling == "shared":
-        rows = sample.shared(df, b, seed).crossJoin(F.broadcast(frequencies.select("j")))
+        rows = sample.shared(df, b, seed, n).crossJoin(F.broadcast(frequencies.select("j")))
     else:
-        rows = sample.per_frequency(df, b, m, seed)
+        rows = sample.per_frequency(df, b, m, seed, n=n)
     return rescale(shots(expectation(rows, frequencies, prefix), n_shots, seed, mode, contrast, flip))
 
 
-def estimate_clusters(assigned: DataFrame, w: np.ndarray, b: int | None = 256, n_shots: int | None = 1024, seed: int = 42, contrast: float = 1.0, flip: float = 0.0, prefix: str = "z") -> tuple[np.ndarray, np.ndarray]:
+def _cluster_sums(assigned: DataFrame, w: np.ndarray, b: int, seed: int, sampling: str, sizes: dict, prefix: str) -> list:
+    """Rows (g, j, s_re, s_im, n) over the sampled rows of each cluster; taken again without thresholds if these kept too few."""
+    for given in (sizes, dict.fromkeys(sizes, 0)):  # a size of 0 puts the threshold at one
+        if sampling == "per_frequency":
+            frequencies = freq.to_frame(assigned.sparkSession, w)
+            cols = feature_names(assigned, prefix)
+            rows = sample.per_group_frequency(assigned, b, len(w), seed, sizes=sizes, sure=given is sizes)
+            t = total([F.col(c) * F.get("w", i) for i, c in enumerate(cols)])
+            got = rows.join(F.broadcast(frequencies), "j").groupBy("g", "j").agg(F.sum(F.cos(t)).alias("s_re"), F.sum(F.sin(t)).alias("s_im"), F.count(F.lit(1)).alias("n")).collect()  # m rows
+        elif sampling == "shared":
+            got = sketch.per_cluster(sample.per_group(assigned, b, seed, sizes=given, sure=True), w, prefix=prefix).collect()
+        else:
+            raise ValueError(f"unknown sampling {sampling}")
+        if len(got) == len(sizes) * len(w) and all(r.n >= min(b, sizes[r.g]) for r in got):
+            return got
+    return got
+
+
+def estimate_clusters(assigned: DataFrame, w: np.ndarray, b: int | None = 256, n_shots: int | None = 1024, seed: int = 42, contrast: float = 1.0, flip: float = 0.0, prefix: str = "z", sampling: str = "shared") -> tuple[np.ndarray, np.ndarray]:
     """(k x m sketches, k counts) on the driver: per cluster from min(b, size) rows, or from all with b None.
 
+    ``sampling`` says whether a cluster's rows are drawn once for all frequencies (``shared``) or anew for each
+    (``per_frequency``, which keeps the errors of the components apart). Two passes: the sizes, then the sampled rows.
     k is one more than the largest label. Coins are simulated as binomial draws: k m pairs of numbers.
     """
     if b is None:
-        parts = sketch.per_cluster(assigned, w, prefix=prefix)
+        rows = sketch.per_cluster(assigned, w, prefix=prefix).collect()
+        sizes = {r.g: r.n for r in rows}
     else:
-        counts = assigned.groupBy("g").agg(F.count(F.lit(1)).alias("size"))
-        parts = sketch.per_cluster(sample.per_group(assigned, b, seed), w, prefix=prefix).join(F.broadcast(counts), "g")  # k rows
-    rows = parts.collect()
-    k = 1 + max((r.g for r in rows), default=-1)
+        sizes = sample.sizes_of(assigned)
+        rows = _cluster_sums(assigned, w, b, seed, sampling, sizes, prefix)
+    k = 1 + max(sizes, default=-1)
     z, size, rng = np.zeros((k, len(w)), complex), np.zeros(k, np.int64), np.random.Generator(np.random.PCG64(seed))
+    for g, n in sizes.items():
+        size[g] = n
     for r in sorted(rows, key=lambda r: (r.g, r.j)):
-        size[r.g] = r["size"] if b is not None else r.n
         value = complex(r.s_re, r.s_im)
         if b is None or (n_shots is None and contrast == 1.0 and flip == 0.0):
             z[r.g, r.j] = value / r.n

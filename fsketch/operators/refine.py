@@ -19,6 +19,7 @@ class Settings:
     decay: float = 0.7
     keep: bool = True
     b: int | None = 256
+    sampling: str = "shared"  # shared | per_frequency: a cluster's rows once for all frequencies, or anew for each
     shots_phase: int | None = 1024
     shots_select: int = 10_000
     p: int = 1
@@ -52,18 +53,19 @@ def grouped_surrogate(zg: np.ndarray, counts: np.ndarray, centroids: np.ndarray,
     return float(f[counts > 0].sum())
 
 
-def step(points: DataFrame, centroids: np.ndarray, w: np.ndarray, s: Settings, t: int = 0, angles: list | None = None) -> Step:
-    """One round. Empty clusters keep their centroid. With ``guard`` a group changes only if its own mismatch falls."""
+def step(points: DataFrame, centroids: np.ndarray, w: np.ndarray, s: Settings, t: int = 0, angles: list | None = None, z: np.ndarray | None = None) -> Step:
+    """One round. Empty clusters keep their centroid. With ``guard`` a group changes only if its own mismatch falls. ``z`` is the
+    sketch of all points, if it was estimated by itself; else the clusters' sketches make it up."""
     p, shots = s.schedule(t) if s.schedule else (s.p, s.shots_phase)
     k = len(centroids)
     assigned = lloyd.assign(points, centroids)
     contrast = {"contrast": s.noise.contrast, "flip": (s.noise.flip01 + s.noise.flip10) / 2} if s.noise else {}
-    zg, counts = hadamard.estimate_clusters(assigned, w, s.b, shots, s.seed + t, **contrast)
+    zg, counts = hadamard.estimate_clusters(assigned, w, s.b, shots, s.seed + t, sampling=s.sampling, **contrast)
     zg = np.concatenate([zg, np.zeros((k - len(zg), len(w)), complex)])
     counts = np.concatenate([counts, np.zeros(k - len(counts), np.int64)])
     sets = candidates.around(centroids, s.d, s.jitter, s.decay, t, s.seed, s.keep)
     costs = qubo.grouped_costs(zg, sets, w)
-    z = (counts[:, None] * zg).sum(axis=0) / max(counts.sum(), 1)
+    z = (counts[:, None] * zg).sum(axis=0) / max(counts.sum(), 1) if z is None else z
     status, feasible, used = "solved", 1.0, []
     if s.solver == "circuit":
         pick, used, feasible = variational.select(costs, p, s.decode, s.shots_select, s.mixer, s.init, s.seed + t, s.noise, angles)
@@ -90,11 +92,12 @@ def step(points: DataFrame, centroids: np.ndarray, w: np.ndarray, s: Settings, t
     return Step(new, pick, status, zg, counts, before, grouped_surrogate(zg, counts, new, w), feasible, used)
 
 
-def run(points: DataFrame, centroids: np.ndarray, w: np.ndarray, s: Settings, max_steps: int = 10, tol: float = 1e-4, transfer_angles: bool = False) -> tuple[np.ndarray, list[dict]]:
-    """Rounds until the centroids move by at most ``tol`` (Frobenius) or ``max_steps``; one pass over the points each."""
+def run(points: DataFrame, centroids: np.ndarray, w: np.ndarray, s: Settings, max_steps: int = 10, tol: float = 1e-4, transfer_angles: bool = False, z: np.ndarray | None = None) -> tuple[np.ndarray, list[dict]]:
+    """Rounds until the centroids move by at most ``tol`` (Frobenius) or ``max_steps``; two passes over the points each, for the
+    clusters' sizes and samples (one if all rows are taken)."""
     history, angles = [], None
     for t in range(max_steps):
-        r = step(points, centroids, w, s, t, angles)
+        r = step(points, centroids, w, s, t, angles, z)
         move = float(np.linalg.norm(r.centroids - centroids))
         history.append({"step": t, "move": move, "before": r.before, "surrogate_grouped": r.after, "status": r.status, "feasible": r.feasible})
         centroids = r.centroids

@@ -12,7 +12,7 @@ from . import lloyd, sample
 POOL = 4096
 
 
-def initial(df: DataFrame, k: int, init: str = "hash", seed: int = 42, prefix: str = "z") -> np.ndarray:
+def initial(df: DataFrame, k: int, init: str = "hash", seed: int = 42, prefix: str = "z", n: int | None = None) -> np.ndarray:
     """First k distinct rows by hash, k-means++ on a hash sample of ``POOL`` rows, or MLlib's parallel initialisation."""
     cols = feature_names(df, prefix)
     if init == "mllib":
@@ -21,7 +21,7 @@ def initial(df: DataFrame, k: int, init: str = "hash", seed: int = 42, prefix: s
 
         rows = VectorAssembler(inputCols=cols, outputCol="features").transform(df).select("features")
         return np.array(KMeans(k=k, maxIter=1, seed=seed, initMode="k-means||").fit(rows).clusterCenters())
-    pool = np.array([[r[c] for c in cols] for r in sample.shared(df, POOL if init == "plusplus" else 8 * k, seed).collect()], float).reshape(-1, len(cols))
+    pool = np.array([[r[c] for c in cols] for r in sample.shared(df, POOL if init == "plusplus" else 8 * k, seed, n).collect()], float).reshape(-1, len(cols))
     if not len(pool):
         raise ValueError("no rows to seed from")
     _, first = np.unique(pool, axis=0, return_index=True)
@@ -35,8 +35,8 @@ def initial(df: DataFrame, k: int, init: str = "hash", seed: int = 42, prefix: s
     return np.array(chosen)
 
 
-def kmeans(df: DataFrame, k: int, on: str = "full", init: str = "hash", iters: int = 20, seed: int = 42, sample_rows: int = 10_000, prefix: str = "z") -> np.ndarray:
+def kmeans(df: DataFrame, k: int, on: str = "full", init: str = "hash", iters: int = 20, seed: int = 42, sample_rows: int = 10_000, prefix: str = "z", n: int | None = None) -> np.ndarray:
     """Centroids in standardised space, ordered by coordinates."""
-    rows = sample.shared(df, sample_rows, seed) if on == "sample" else df
-    centroids, _ = lloyd.run(rows, initial(df, k, init, seed, prefix), iters, prefix=prefix)
+    rows = sample.shared(df, sample_rows, seed, n) if on == "sample" else df
+    centroids, _ = lloyd.run(rows, initial(df, k, init, seed, prefix, n), iters, prefix=prefix)
     return centroids[np.lexsort(centroids.T[::-1])]

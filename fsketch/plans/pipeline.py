@@ -44,7 +44,10 @@ def cluster(
 ) -> Result:
     """Points are (row_key, x0, x1, ...). ``refine_steps`` rounds follow the first selection. ``more`` goes to ``Settings``.
 
-    Passes over the points: one for the moments, one per seeding step, one per round, one for the result. With
+    With ``sampling="per_frequency"`` the sketch of all points is estimated by itself before seeding, and each component of a
+    cluster's sketch from a subsample of its own.
+
+    Passes over the points: one for the moments, one per seeding step, two per round, one for the result. With
     ``cache=False`` every pass reads the source again, which is what a table larger than the cluster's memory wants.
     """
     began = time.perf_counter()
@@ -54,9 +57,13 @@ def cluster(
     dim = len(scaler.cols)
     m = m or freq.default_m(k, dim)
     w = freq.matrix(m, dim, sigma, seed)
-    first = seeds.kmeans(points, k, seed_on, seed_init, seed_iters, seed)
     settings = replace(Settings(d=d, p=p, b=b, shots_phase=shots_phase, shots_select=shots_select, solver=solver, noise=noise, seed=seed), **more)
-    centroids, history = refine.run(points, first, w, settings, 1 + refine_steps, tol)
+    z = None
+    if settings.sampling == "per_frequency" and b is not None:
+        fault = {"contrast": noise.contrast, "flip": (noise.flip01 + noise.flip10) / 2} if noise else {}
+        z = sketch.vector(hadamard.estimate_sketch(points, m, b, shots_phase, "per_frequency", sigma, seed, "normal", n=scaler.n, **fault), m)
+    first = seeds.kmeans(points, k, seed_on, seed_init, seed_iters, seed, n=scaler.n)
+    centroids, history = refine.run(points, first, w, settings, 1 + refine_steps, tol, z=z)
     status = history[-1]["status"]
     assigned = lloyd.assign(points, centroids)
     sse = measures.original_wcss(points, centroids, scaler)

@@ -32,6 +32,62 @@ POINTS = {
     "W9": ("vec_id::VARCHAR", [f"embedding[{i + 1}]" for i in range(22)], "embeddings"),
 }
 
+_DAY = lambda c: f"date_diff('day', DATE '1992-01-01', {c}::DATE)"
+_CODE = lambda c: f"(('0x' || substr(md5({c}), 1, 4))::BIGINT % 16)"
+_SHAPE = lambda table_, key, n: f"(select *, {key} as key from {table_} order by {sql_uniform(chr(39) + 'shape' + chr(39), key)}, {key} limit {n})"
+
+
+def _q(*parts: str) -> list[str]:
+    """Quoted where not an expression: the first parts of a draw are names."""
+    return [f"'{p[1:]}'" if p[0] == "=" else p for p in parts]
+
+
+def _moon(noise: float) -> list[str]:
+    a, lower = f"({math.pi!r} * {sql_uniform(*_q('=moon', 'key'))})", "key % 2 = 1"
+    return [
+        f"case when {lower} then 1 - cos({a}) else cos({a}) end + {noise} * {sql_normal(*_q('=mx', 'key'))}",
+        f"case when {lower} then 0.5 - sin({a}) else sin({a}) end + {noise} * {sql_normal(*_q('=my', 'key'))}",
+    ]
+
+
+def _blob(varied: bool) -> list[str]:
+    group = "(l_returnflag || l_linestatus)"
+    spread = f"(0.3 + {sql_uniform(*_q('=spread', group))})" if varied else "0.5"
+    return [f"20 * {sql_uniform(*_q('=centre', '=' + t, group))} + {spread} * {sql_normal(*_q('=blob', '=' + t, 'key'))}" for t in ("x", "y")]
+
+
+def _ring() -> list[str]:
+    angle, radius = f"({2 * math.pi!r} * {sql_uniform(*_q('=ring', 'key'))})", "(case when key % 2 = 0 then 1.0 else 0.5 end)"
+    return [f"{radius}::DOUBLE * {f}({angle}) + 0.05 * {sql_normal(*_q('=ring', '=' + t, 'key', 'trunc(o_totalprice)::BIGINT'))}" for f, t in (("cos", "x"), ("sin", "y"))]
+
+
+_T = f"(({_DAY('o_orderdate')} % 1000) / 1000.0::DOUBLE)"
+_SPIRAL = [f"(1 + 9 * {_T}) * {f}(3 * {_T} + {2 * math.pi / 3!r} * (key % 3))" for f in ("cos", "sin")]
+_WIDE = [
+    *"l_quantity l_extendedprice l_discount l_tax l_linenumber o_totalprice c_nationkey c_acctbal p_size p_retailprice s_acctbal s_nationkey n_regionkey".split(),
+    _DAY("l_shipdate"), _DAY("o_orderdate"), *[_CODE(c) for c in "l_returnflag l_linestatus o_orderpriority o_orderstatus c_mktsegment p_brand".split()], "length(p_type)", "1",
+]
+_TEXT = ["n_chars", "len(ws)", "len(list_distinct(ws)) / greatest(len(ws), 1)", "len(string_split(text, chr(10)))", "length(regexp_replace(text, '[^0-9]', '', 'g')) / greatest(length(text), 1)", "length(text) / greatest(len(ws), 1)", _CODE("lang"), "copies"]
+POINTS |= {
+    "W1": ("key::VARCHAR", _ring(), _SHAPE("orders", "o_orderkey", 300)), "W2": ("key::VARCHAR", _SPIRAL, _SHAPE("orders", "o_orderkey", 300)),
+    "W3": ("key::VARCHAR", _moon(0.05), _SHAPE("orders", "o_orderkey", 400)), "W3b": ("key::VARCHAR", _moon(0.15), _SHAPE("orders", "o_orderkey", 400)),
+    **{w: ("key", _blob(v), _SHAPE("lineitem", LINE_KEY, n)) for w, n, v in (("W4", 600, False), ("W5", 1200, True), ("W6", 2100, False))},
+    "W7": (
+        "c_custkey::VARCHAR", ["c_acctbal", "c_nationkey", *[f"coalesce({x}, 0)" for x in ("n", "a", "b", "s", "span")]],
+        f"(customer left join (select o_custkey, count(*) as n, avg(o_totalprice) as a, max(o_totalprice) as b, sum(o_totalprice) as s, date_diff('day', min(o_orderdate)::DATE, max(o_orderdate)::DATE) as span from orders group by o_custkey) on c_custkey = o_custkey)",
+    ),
+    "W11": (
+        "o_orderkey::VARCHAR", ["o_totalprice", _DAY("o_orderdate"), *[f"coalesce({x}, 0)" for x in ("n", "q", "p", "dc", "t", "span")]],
+        "(orders left join (select l_orderkey, count(*) as n, sum(l_quantity) as q, avg(l_extendedprice) as p, avg(l_discount) as dc, avg(l_tax) as t, date_diff('day', min(l_shipdate)::DATE, max(l_shipdate)::DATE) as span from lineitem group by l_orderkey) on o_orderkey = l_orderkey)",
+    ),
+    "W13": (LINE_KEY, _WIDE, "(lineitem join orders on l_orderkey = o_orderkey join customer on o_custkey = c_custkey join part on l_partkey = p_partkey join supplier on l_suppkey = s_suppkey join nation on s_nationkey = n_nationkey)"),
+    "W14": (LINE_KEY, ["l_quantity", "l_extendedprice"], "lineitem"), "W15": (LINE_KEY, ["l_quantity", "l_extendedprice", "l_tax"], "lineitem"),
+    "W23": ("doc_id::VARCHAR", _TEXT, "(select *, string_split(text, ' ') as ws, count(*) over (partition by md5(text)) as copies from documents)"),
+    "W24": ("page_id::VARCHAR", ["length(html)", "len(regexp_extract_all(html, '<[a-z]'))", "len(regexp_extract_all(html, 'href='))", "len(string_split(url, '/'))"], "pages"),
+    "W24b": ("conv_id::VARCHAR", ["turns", "u", "a", "s"], "(select conv_id, count(*) as turns, " + ", ".join(f"sum(case when role = '{r}' then length(text) else 0 end) as {r[0]}" for r in ("user", "assistant", "system")) + " from conversations group by conv_id)"),
+    "W24c": ("item_id::VARCHAR", ["length(text)"], "benchmark"),
+}
+
 
 def zs(d: int) -> list[str]:
     return [f"z{i}" for i in range(d)]
@@ -56,6 +112,13 @@ def sql_dot(d: int, a: str = "z.z", b: str = "w.w") -> str:
     return " + ".join(f"{a}{i} * {b}{i}" for i in range(d))
 
 
+def sql_distinct_first(k: int, d: int, seed_: int = 42, name: str = "c") -> str:
+    """CTE: the first k distinct points by hash, numbered."""
+    h = f"{sql_uniform(chr(39) + 's' + chr(39), str(seed_), 'row_key')}, row_key"
+    once = f"(select *, row_number() over (partition by {', '.join(zs(d))} order by {h}) as _n from z)"
+    return f"{name} as materialized (select g::INT as g, {', '.join(f'z{i} as c{i}' for i in range(d))} from (select *, row_number() over (order by {h}) - 1 as g from {once} where _n = 1) where g < {k})"
+
+
 def sql_first(k: int, d: int) -> str:
     """CTE c: the first k points by hash, numbered."""
     return f"c as materialized (select g::INT as g, {', '.join(f'z{i} as c{i}' for i in range(d))} from (select *, row_number() over (order by {sql_uniform(chr(39) + 's' + chr(39), '42', 'row_key')}, row_key) - 1 as g from z) where g < {k})"
@@ -454,13 +517,13 @@ def resources_grid(spark, sf):
     return resources.grid(spark, [3, 5, 10], [1, 2, 4, 6, 8], [1, 100, 128, 256, 512, 1024], [1, 2, 3])
 
 
-def sql_lloyd(steps: int, d: int, k: int) -> str:
-    """CTEs a1..., c1...: Lloyd steps from c; the last centroids are renamed cl."""
-    out, centres = [], "c"
+def sql_lloyd(steps: int, d: int, k: int, first: str = "c") -> str:
+    """CTEs a1..., c1...: Lloyd steps from c (or another start, whose name they bear then)."""
+    out, centres, mark = [], first, "" if first == "c" else first
     for t in range(1, steps + 1):
-        out.append(sql_assign(d, f"a{t}", centres))
-        out.append(f"c{t} as materialized (select c.g, {', '.join(f'coalesce(avg(a.z{i}), any_value(c.c{i})) as c{i}' for i in range(d))} from {centres} c left join a{t} a on a.g = c.g group by c.g)")
-        centres = f"c{t}"
+        out.append(sql_assign(d, f"a{mark}{t}", centres))
+        out.append(f"c{mark}{t} as materialized (select c.g, {', '.join(f'coalesce(avg(a.z{i}), any_value(c.c{i})) as c{i}' for i in range(d))} from {centres} c left join a{mark}{t} a on a.g = c.g group by c.g)")
+        centres = f"c{mark}{t}"
     return ", ".join(out)
 
 
@@ -514,6 +577,69 @@ def pipeline_grouped_exact(spark, sf):
     return centroids.join(sizes, "g", "left").select("g", F.round("c0", 6).alias("c0"), F.round("c1", 6).alias("c1"), F.coalesce("n", F.lit(0)).alias("n"), "wcss")
 
 
+def sql_run(workload: str, m: int, solver: str = "grouped_exact", rounds: int = 1, k: int = K, iters: int = 3, b: int | None = None) -> str:
+    """CTEs of a whole run up to f (the centroids) and fa (the points with their cluster and distance). With b, the sketches come
+    from subsamples of b rows per frequency, dealt out of the rows in hash order."""
+    d = len(POINTS[workload][1])
+    cs = ", ".join(f"c{i}" for i in range(d))
+    out = [sql_points(workload), sql_freq(m, d), sql_distinct_first(k, d), sql_lloyd(iters, d, k)]
+    out.append(f"e0 as materialized (select (row_number() over (order by {cs}) - 1)::INT as g, {cs} from c{iters})")
+    rank = lambda by: f"row_number() over ({by} order by {_H}, row_key) - 1"
+    if b is None:
+        out.append(sql_sketch(d))
+    else:
+        out.append(f"zx as materialized (select w.j, avg(cos({sql_dot(d, 's.z')})) as re, avg(sin({sql_dot(d, 's.z')})) as im from (select *, {rank('')} as rn from z) s join w on w.j = s.rn // {b} group by w.j)")
+    for t in range(rounds):
+        out.append(sql_assign(d, f"at{t}", f"e{t}"))
+        if b is None:
+            out.append(f"zg{t} as materialized (select g, j, avg(cos({sql_dot(d, 'a.z')})) as re, avg(sin({sql_dot(d, 'a.z')})) as im from at{t} a cross join w group by g, j)")
+        else:
+            out.append(f"zg{t} as materialized (select s.g, w.j, avg(cos({sql_dot(d, 's.z')})) as re, avg(sin({sql_dot(d, 's.z')})) as im from (select *, {rank('partition by g')} as rn from at{t}) s join w on w.j = s.rn // {b} group by s.g, w.j)")
+        moved = ", ".join(f"c{i} + case when r = 0 then 0 else {JITTER * 0.7**t!r} * {sql_normal(chr(39) + 'c' + chr(39), '42', str(t), 'g', 'r', str(i))} end as v{i}" for i in range(d))
+        out.append(f"cand{t} as materialized (select g, r::INT as r, {moved} from e{t}, range({D}) x(r))")
+        out.append(f"v{t} as materialized (select g, r, j, cos({sql_dot(d, 'v', 'w')}) as re, sin({sql_dot(d, 'v', 'w')}) as im from cand{t} cross join w)")
+        states = ", ".join(f"s{g}.r as r{g}" for g in range(k))
+        least = ", ".join(f"r{g}" for g in range(k))
+        if solver == "grouped_exact":
+            cost = f"(select v.g, v.r, sum((v.re - q.re) * (v.re - q.re) + (v.im - q.im) * (v.im - q.im)) as cost from v{t} v join zg{t} q on q.g = v.g and q.j = v.j group by v.g, v.r)"
+            out.append(f"pick{t} as materialized (select g, r from (select *, row_number() over (partition by g order by cost, r) as rn from {cost}) where rn = 1)")
+        else:
+            if solver == "coupled":
+                part = lambda c: f"(({' + '.join(f's{g}.{c}' for g in range(k))}) / {k} - zx.{c})"
+                joins = " ".join(f"join (select * from v{t} where g = {g}) s{g} on s{g}.j = zx.j" for g in range(k))
+                tried = f"select {states}, sum({part('re')} * {part('re')} + {part('im')} * {part('im')}) as value from zx {joins} group by all"
+            else:
+                near = lambda g: " + ".join(f"(z.z{i} - s{g}.v{i}) * (z.z{i} - s{g}.v{i})" for i in range(d))
+                joins = " ".join(f"cross join (select * from cand{t} where g = {g}) s{g}" for g in range(k))
+                tried = f"select {states}, sum(least({', '.join(near(g) for g in range(k))})) as value from z {joins} group by all"
+            out.append(f"pick{t} as materialized (select unnest(range({k}))::INT as g, unnest([{least}]) as r from (select * from ({tried}) order by value, {least} limit 1))")
+        out.append(f"e{t + 1} as materialized (select cand{t}.g, {', '.join(f'v{i} as c{i}' for i in range(d))} from cand{t} join pick{t} on pick{t}.g = cand{t}.g and pick{t}.r = cand{t}.r)")
+    out.append(f"f as materialized (select * from e{rounds})")
+    out.append(sql_assign(d, "fa", "f"))
+    return ", ".join(out)
+
+
+def _run(workload: str, m: int, solver: str = "grouped_exact", rounds: int = 1, k: int = K, iters: int = 3, b: int | None = None):
+    return lambda spark, sf: cluster(
+        load(spark, sf, workload), k, m, D, b=b, shots_phase=None, solver=solver, refine_steps=rounds - 1, accept="guard" if solver == "grouped_exact" else "raw", seed_iters=iters, jitter=JITTER, tol=-1.0,
+        sampling="shared" if b is None else "per_frequency",
+    )
+
+
+def _whole_run(workload: str, m: int, **settings):
+    """Per cluster of a whole run: size, summed squared distance and first coordinate, beside the SQL of the run."""
+    sql = f"with {sql_run(workload, m, **settings)} select f.g, count(fa.row_key) as n, round(coalesce(sum(fa.d2), 0), 4) as wcss, round(any_value(f.c0), 6) + 0.0 as c0 from f left join fa on fa.g = f.g group by f.g"
+    run = _run(workload, m, **settings)
+
+    def measured(spark, sf):
+        r = run(spark, sf)
+        centroids = _frame(spark, [(g, float(c[0])) for g, c in enumerate(r.centroids)], "g int, c0 double")
+        sizes = r.assignments.groupBy("g").agg(F.count(F.lit(1)).alias("n"), F.round(F.sum("d2"), 4).alias("wcss"))
+        return rounded(centroids.join(sizes, "g", "left"), "c0").select("g", F.coalesce("n", F.lit(0)).alias("n"), F.coalesce("wcss", F.lit(0.0)).alias("wcss"), "c0")
+
+    return measured, sql
+
+
 def _record(workload: str, k: int = K, **settings):
     def run(spark, sf):
         return cluster(load(spark, sf, workload), k, **settings).record(spark, workload).drop("seconds")
@@ -522,19 +648,58 @@ def _record(workload: str, k: int = K, **settings):
 
 
 Q["pipeline_circuit"] = (_record("W8"), None)
-Q["pipeline_refined"] = (_record("W10", refine_steps=3, accept="guard", decode="best_sampled"), None)
+Q["pipeline_circuit_refined"] = (_record("W10", refine_steps=3, accept="guard", decode="best_sampled"), None)
 Q["pipeline_noisy"] = (_record("W8", noise=Noise()), None)
-Q["pipeline_coupled"] = (_record("W7", solver="coupled"), None)
-Q["pipeline_exhaustive"] = (_record("W7", solver="exhaustive"), None)
+Q["pipeline_refined"] = _whole_run("W10", 16, rounds=3)
+Q["pipeline_coupled"] = _whole_run("W7", 28, solver="coupled")
+Q["pipeline_exhaustive"] = _whole_run("W7", 28, solver="exhaustive")
+Q["pipeline_coupled_refined"] = _whole_run("W8", M, solver="coupled", rounds=3)
+Q["pipeline_per_frequency"] = _whole_run("W8", M, b=8)
+Q["pipeline_per_frequency_coupled"] = _whole_run("W8", M, b=8, solver="coupled")
+for _w in POINTS:
+    if _w not in ("W9", "W10"):
+        Q[f"workload_{_w}"] = _whole_run(_w, 12)
+
+
+def _moments(workload: str):
+    d = len(POINTS[workload][1])
+    rows = " union all ".join(f"select {i}::INT as i, count(*) as n, round(any_value(m{i}), 4) + 0.0 as mean, round(any_value(s{i}), 4) + 0.0 as std from z, st" for i in range(d))
+
+    def run(spark, sf):
+        s = scale.fit(load(spark, sf, workload))
+        return rounded(_frame(spark, [(i, s.n, float(s.mean[i]), float(s.std[i])) for i in range(d)], "i int, n long, mean double, std double"), "mean", "std", digits=4)
+
+    return run, f"with {sql_points(workload)} {rows}"
+
+
+for _w in POINTS:
+    Q[f"moments_{_w}"] = _moments(_w)
 
 
 def _summary(spark, c, value, extra="") -> DataFrame:
     return _frame(spark, [(g, [float(x) for x in v], float(value), extra) for g, v in enumerate(c)], "g int, c array<double>, value double, note string")
 
 
-@query("baseline_kmeans")
+def _plain_summary(spark, c, value, extra="") -> DataFrame:
+    """Of two features, rounded."""
+    return rounded(_frame(spark, [(g, float(v[0]), float(v[1]), round(float(value), 4), extra) for g, v in enumerate(c)], "g int, c0 double, c1 double, value double, note string"), "c0", "c1")
+
+
+_STEPS, _STARTS = 6, 3
+
+
+def _kmeans_sql() -> str:
+    ctes = [sql_points("W8")]
+    for r in range(_STARTS):
+        ctes += [sql_distinct_first(K, 2, 42 + r, f"k{r}_"), sql_lloyd(_STEPS, 2, K, f"k{r}_"), sql_assign(2, f"l{r}", f"ck{r}_{_STEPS}")]
+    runs = " union all ".join(f"select {r} as run, (select sum(d2) from l{r}) as total, g, c0, c1 from ck{r}_{_STEPS}" for r in range(_STARTS))
+    return f"with {', '.join(ctes)}, runs as ({runs}) select g, round(c0, 6) + 0.0 as c0, round(c1, 6) + 0.0 as c1, round(total, 4) as value, '' as note from runs where run = (select run from runs order by total, run limit 1)"
+
+
+@query("baseline_kmeans", _kmeans_sql())
 def baseline_kmeans(spark, sf):
-    return _summary(spark, *baselines.kmeans(_prepared(spark, sf, "W8"), K))
+    """Best of three starts by hash, six steps each."""
+    return _plain_summary(spark, *baselines.kmeans(_prepared(spark, sf, "W8"), K, _STARTS, _STEPS, init="hash", tol=0.0))
 
 
 @query("baseline_compressive")
@@ -547,23 +712,48 @@ def baseline_compressive_weights(spark, sf):
     return _summary(spark, *compressive_baseline(load(spark, sf, "W8"), K, M, "free"))
 
 
-@query("baseline_noisy")
+def _label_sql(choose: str, push, steps: int, note: str, value: str) -> str:
+    """k-means whose labels come from ``choose`` (SQL of one row and centroid, largest first) and whose means are moved by ``push``."""
+    ctes = [sql_points("W8"), sql_distinct_first(K, 2, 42, "n0")]
+    dist = "(z0 - c0) * (z0 - c0) + (z1 - c1) * (z1 - c1)"
+    for t in range(steps):
+        near = f"(select *, min(d) over (partition by row_key) as least from (select z.*, n.g, c0, c1, {dist} as d from z cross join n{t} n))"
+        ctes.append(f"b{t} as materialized (select * from (select *, row_number() over (partition by row_key order by {choose.format(t=t)} desc, g) as rn from {near}) where rn = 1)")
+        p = push(t)
+        ctes.append(f"n{t + 1} as materialized (select n.g, {', '.join(f'coalesce(avg(b.z{i}) + any_value([{chr(44).join(repr(float(x)) for x in p[:, i])}][n.g + 1]), any_value(n.c{i})) as c{i}' for i in range(2))} from n{t} n left join b{t} b on b.g = n.g group by n.g)")
+    return f"with {', '.join(ctes)} select g, round(c0, 6) + 0.0 as c0, round(c1, 6) + 0.0 as c1, (select round(sum({value}), 4) from b{steps - 1}) as value, {note} as note from n{steps}"
+
+
+def _noisy_sql(delta: float = 0.1, steps: int = 3) -> str:
+    pick = f"case when d <= least + {delta} then {sql_uniform(chr(39) + 'nm' + chr(39), '42', '{t}', 'g', 'row_key')} else -1 end"
+    return _label_sql(pick, lambda t: baselines.pushes(K, 2, delta, t), steps, "''", "least")
+
+
+@query("baseline_noisy", _noisy_sql())
 def baseline_noisy(spark, sf):
-    points = _prepared(spark, sf, "W8")
-    c, history = baselines.noisy_kmeans(points, K)
-    return _summary(spark, c, history[-1], f"{resources.noisy_means_qubits(points.count())} qubits")
+    """Three steps; within delta the hash decides."""
+    c, history = baselines.noisy_kmeans(_prepared(spark, sf, "W8"), K, iters=3)
+    return _plain_summary(spark, c, history[-1])
+
+
+def _overlap_sql(steps: int = 3) -> str:
+    z = "(z0 * z0 + z1 * z1 + (c0 * c0 + c1 * c1 + 1e-12))"
+    chance = f"least(1.0::DOUBLE, greatest(0.0::DOUBLE, d / (2 * {z})))"
+    guess = f"-(2 * {z} * ({chance} + {sql_normal(chr(39) + 'ov' + chr(39), '42', '{t}', 'g', 'row_key')} * sqrt({chance} * (1 - {chance}) / 1024)))"
+    return _label_sql(guess, lambda t: np.zeros((K, 2)), steps, f"'{resources.overlap_qubits()} qubits'", "d")
 
 
-@query("baseline_overlap")
+@query("baseline_overlap", _overlap_sql())
 def baseline_overlap(spark, sf):
-    c, history = baselines.overlap_kmeans(_prepared(spark, sf, "W8"), K)
-    return _summary(spark, c, history[-1], f"{resources.overlap_qubits()} qubits")
+    c, history = baselines.overlap_kmeans(_prepared(spark, sf, "W8"), K, iters=3)
+    return _plain_summary(spark, c, history[-1], f"{resources.overlap_qubits()} qubits")
 
 
-@query("baseline_qubo")
+@query("baseline_qubo", f"with {sql_points('W8')}, {sql_distinct_first(K, 2)}, {sql_lloyd(5, 2, K)} select g, round(c0, 6) + 0.0 as c0, round(c1, 6) + 0.0 as c1, (select round(sum(d2), 4) from a5) as value, 'solved' as note from c5")
 def baseline_qubo(spark, sf):
+    """The row's one-hot minimum is its nearest centroid, so the steps are those of k-means."""
     c, got = baselines.assign_qubo(_prepared(spark, sf, "W8"), K, 5)
-    return _summary(spark, c if c is not None else [], got.value or 0.0, got.status)
+    return _plain_summary(spark, c if c is not None else [], got.value or 0.0, got.status)
 
 
 @query("sweep_frequencies")
@@ -583,11 +773,22 @@ def sweep_qubits(spark, sf):
     return _frame(spark, rows, "b int, peak_qubits int, sse double")
 
 
-@query("ablation")
+_SOLVERS = ("grouped_exact", "coupled", "exhaustive")
+
+
+def _ablation_sql(workload: str = "W7", m: int = 28) -> str:
+    d = len(POINTS[workload][1])
+    error = " + ".join(f"(fa.x{i} - (f.c{i} * s{i} + m{i})) * (fa.x{i} - (f.c{i} * s{i} + m{i}))" for i in range(d))
+    runs = " union all ".join(f"select * from (with {sql_run(workload, m, solver)} select '{solver}' as solver, sum({error}) as sse from fa join f on f.g = fa.g, st)" for solver in _SOLVERS)
+    return f"with runs as materialized ({runs}) select '{workload}' as dataset, {K}::INT as k, solver, round(log10(sse), 6) as log_sse, round(sse / (select sse from runs where solver = 'grouped_exact'), 6) as ratio from runs"
+
+
+@query("ablation", _ablation_sql())
 def ablation(spark, sf):
-    """Grouped, coupled and exhaustive selection over the same candidates, SSE relative to grouped."""
-    runs = [("W7", K, s, cluster(load(spark, sf, "W7"), K, solver=s, seed_iters=5).sse) for s in ("grouped_exact", "coupled", "exhaustive")]
-    return measures.compare(_frame(spark, runs, "dataset string, k int, solver string, sse double"), "grouped_exact")
+    """Grouped, coupled and exhaustive selection over the same candidates, SSE relative to grouped; all grids are in ``experiments``."""
+    runs = [("W7", K, s, _run("W7", 28, s)(spark, sf).sse) for s in _SOLVERS]
+    got = measures.compare(_frame(spark, runs, "dataset string, k int, solver string, sse double"), "grouped_exact")
+    return got.select("dataset", "k", "solver", F.round(F.log10("sse"), 6).alias("log_sse"), F.round("ratio", 6).alias("ratio"))
 
 
 @query("noise_drift")
@@ -606,12 +807,20 @@ def random_projection(spark, sf):
     return rounded(points.select("row_key", *cols), *cols)
 
 
-@query("label_agreement")
+_PAIRS = lambda n: f"sum({n} * ({n} - 1) / 2)"
+_AGREEMENT = f"""with {sql_run('W9', 12, k=5)}, t as materialized (select g, label, count(*)::DOUBLE as n from fa join embeddings on vec_id::VARCHAR = row_key group by g, label),
+a as (select g, sum(n) as n from t group by g), b as (select label, sum(n) as n from t group by label), n as (select sum(n) as n from t),
+ri as (select (select {_PAIRS('n')} from t) as same, (select {_PAIRS('n')} from a) as ra, (select {_PAIRS('n')} from b) as rb, (select n * (n - 1) / 2 from n) as all_pairs),
+mi as (select (select sum(t.n / n.n * ln(t.n * n.n / (a.n * b.n))) from t join a using (g) join b using (label), n) as i, (select -sum(a.n / n.n * ln(a.n / n.n)) from a, n) as ha, (select -sum(b.n / n.n * ln(b.n / n.n)) from b, n) as hb)
+select round((select sum(m) from (select max(n) as m from t group by g)) / n.n, 6) as purity, round((same - ra * rb / all_pairs) / ((ra + rb) / 2 - ra * rb / all_pairs), 6) + 0.0 as ari, round(i / ((ha + hb) / 2), 6) + 0.0 as nmi from ri, mi, n"""
+
+
+@query("label_agreement", _AGREEMENT)
 def label_agreement(spark, sf):
-    got = cluster(load(spark, sf, "W9"), 10, solver="grouped_exact", seed_iters=5).assignments
+    got = _run("W9", 12, k=5)(spark, sf).assignments
     e = table(spark, sf, "embeddings").select(F.col("vec_id").cast("string").alias("_k"), "label")
     a = measures.agreement(got.join(e, F.col("row_key") == F.col("_k")))
-    return _frame(spark, [(a["purity"], a["ari"], a["nmi"])], "purity double, ari double, nmi double")
+    return rounded(_frame(spark, [(a["purity"], a["ari"], a["nmi"])], "purity double, ari double, nmi double"), "purity", "ari", "nmi")
 
 
 QUERIES = {n: f for n, (f, _) in Q.items()}

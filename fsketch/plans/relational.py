@@ -99,11 +99,13 @@ for _name, _hint in (("broadcast", "broadcast"), ("merge", "merge"), ("hash", "s
 
 @query("ops_join_theta_nearest", f"with {q.sql_points('W8')}, {q.sql_first(3, 2)}, {q.sql_assign(2)} select row_key, g from a")
 def join_theta_nearest(spark, sf):
-    """Nearest centroid by a nested-loop join with k rows instead of literals."""
+    """Nearest of k rows that are data, not literals: they meet every point as one array, and the choice is made within the row."""
     points = scale.prepare(load(spark, sf, "W8"))[0]
     c = spark.createDataFrame([(g, float(v[0]), float(v[1])) for g, v in enumerate(seed.initial(points, 3))], "g int, c0 double, c1 double")
-    d2 = (F.col("z0") - F.col("c0")) * (F.col("z0") - F.col("c0")) + (F.col("z1") - F.col("c1")) * (F.col("z1") - F.col("c1"))
-    return points.crossJoin(F.broadcast(c)).groupBy("row_key").agg(F.min(F.struct(d2.alias("d"), "g")).alias("m")).select("row_key", "m.g")
+    near = c.agg(F.collect_list(F.struct("g", "c0", "c1")).alias("near"))  # one row of k
+    d2 = lambda v: (F.col("z0") - v["c0"]) * (F.col("z0") - v["c0"]) + (F.col("z1") - v["c1"]) * (F.col("z1") - v["c1"])
+    best = F.array_min(F.transform("near", lambda v: F.struct(d2(v).alias("d"), v["g"].alias("g"))))
+    return points.join(F.broadcast(near)).select("row_key", best["g"].alias("g"))
 
 
 @query("ops_join_range_cdf", f"with p as (select l_returnflag as f, count(*)::DOUBLE as n from lineitem group by 1), c as (select f, sum(n) over (order by f) / sum(n) over () as hi from p), t as (select range as i, {sql_uniform(chr(39) + 'cdf' + chr(39), 'range')} as u from range(500)) select i, min(f) as f from t join c on u <= hi group by i")
