@@ -7,6 +7,7 @@ import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from fsketch.functions.hashing import normal, py_normal, py_uniform, uniform
 from fsketch.operators import baselines, bounds, candidates, freq, hadamard, lloyd, measures, qubo, refine, resources, sample, scale, seed, sketch, solve, variational
@@ -390,3 +391,43 @@ def test_workloads(spark, sf, name):
     df = load(spark, sf, name)
     assert len(df.columns) == WORKLOADS[name][1] + 1
     assert df.count() == df.select("row_key").distinct().count() > 0
+
+
+def test_samples_move_few_rows(spark):
+    """At a sample size beyond Spark's window group limit, only rows below the threshold reach the shuffle; the sample is that of the full order."""
+    n, b = 60_000, 1024
+    df = spark.range(n).select(F.col("id").cast("string").alias("row_key"), (F.col("id") % 3).cast("int").alias("g"), F.col("id").cast("double").alias("z0"))
+    got = sample.per_group(df, b, sizes=sample.sizes_of(df))
+    want = df.withColumn("_h", uniform("s", 42, F.col("row_key"))).withColumn("pos", F.row_number().over(Window.partitionBy("g").orderBy("_h", "row_key"))).where(F.col("pos") <= b)
+    assert {(r.g, r.row_key, r.pos) for r in got.collect()} == {(r.g, r.row_key, r.pos - 1) for r in want.collect()}
+    plan = got._jdf.queryExecution().optimizedPlan().toString()
+    assert "Filter" in plan.split("Window", 1)[1]
+    below = df.withColumn("_h", uniform("s", 42, F.col("row_key"))).where(F.col("_h") < sample.group_threshold(b, {0: n // 3, 1: n // 3, 2: n // 3}))
+    assert 3 * b <= below.count() < 3 * b * 1.5
+    few = sample.shared(df, 50, n=n)
+    assert "Filter" in few._jdf.queryExecution().optimizedPlan().toString() and few.count() == 50
+
+
+def test_samples_of_repeated_keys(spark):
+    """Keys that repeat spoil the hashes' uniformity: all rows are ordered then, and no row of the sample is missing."""
+    df = spark.range(5000).select(F.lit("same").alias("row_key"), (F.col("id") % 2).cast("int").alias("g"), F.col("id").cast("double").alias("z0"))
+    assert sample.shared(df, 100).count() == 100
+    assert {r["count"] for r in sample.per_group(df, 30).groupBy("g").count().collect()} == {30}
+    z, size = hadamard.estimate_clusters(df, freq.matrix(4, 1), 30, None)
+    assert size.tolist() == [2500, 2500] and np.isfinite(z).all() and (np.abs(z) > 0).all()
+
+
+@pytest.mark.parametrize("rows", [400, 9000])
+def test_clusters_per_frequency(spark, rows):
+    """Every component of a cluster's sketch has a sample of its own, of the given size, close to the exact value on average."""
+    df = spark.range(rows).select(F.col("id").cast("string").alias("row_key"), (F.col("id") % 2).cast("int").alias("g"), (F.col("id") % 17 / F.lit(8.0) - 1).alias("z0"))
+    w, b = freq.matrix(40, 1), 64
+    drawn = sample.per_group_frequency(df, b, len(w))
+    counts = drawn.groupBy("g", "j").agg(F.count(F.lit(1)).alias("n"), F.countDistinct("row_key").alias("u"), F.max("pos").alias("last")).collect()
+    assert len(counts) == 80 and all((r.n, r.u, r["last"]) == (b, b, b - 1) for r in counts)
+    assert drawn.groupBy("g").agg(F.countDistinct("row_key").alias("u")).where(F.col("u") > b).count() == 2
+    exact, _ = hadamard.estimate_clusters(df, w, None)
+    apart, size = hadamard.estimate_clusters(df, w, b, None, sampling="per_frequency")
+    assert size.tolist() == [rows // 2, rows // 2] and np.sqrt(np.mean(np.abs(apart - exact) ** 2)) < 1.5 / np.sqrt(b)
+    with pytest.raises(ValueError):
+        hadamard.estimate_clusters(df, w, b, sampling="none")
