@@ -30,9 +30,9 @@ def _grouped(spark: SparkSession, sf: str, grid: str, w: str, k: int, label: str
     return _row(grid, w, k, label, r.sse if r.status == "solved" else None, m=r.params["m"], d=r.params["d"], b=r.params["b"], qubits=r.peak_qubits, seconds=round(r.seconds, 2), over_seed=r.sse / r.seed_sse if r.seed_sse else None, status=r.status)
 
 
-def shapes(spark: SparkSession, sf: str, ks=KS, budget: int = 5_000_000) -> Iterator[dict]:
+def shapes(spark: SparkSession, sf: str, ks=KS, budget: int = 5_000_000, workloads=SHAPES) -> Iterator[dict]:
     """Grouped selection beside the stand-ins for noisy means, overlap distances and the hybrid assignment, on planted shapes."""
-    for w in SHAPES:
+    for w in workloads:
         for k in ks:
             yield _grouped(spark, sf, "shapes", w, k)
             points, scaler = scale.prepare(load(spark, sf, w))
@@ -48,9 +48,9 @@ def shapes(spark: SparkSession, sf: str, ks=KS, budget: int = 5_000_000) -> Iter
             points.unpersist()
 
 
-def tables(spark: SparkSession, sf: str, ks=KS, ds=(4, 6)) -> Iterator[dict]:
+def tables(spark: SparkSession, sf: str, ks=KS, ds=(4, 6), workloads=TABLES) -> Iterator[dict]:
     """k-means, continuous sketch matching, and grouped selection without and with noise."""
-    for w in TABLES:
+    for w in workloads:
         for k in ks:
             points, scaler = scale.prepare(load(spark, sf, w))
             points = points.persist()
@@ -64,23 +64,23 @@ def tables(spark: SparkSession, sf: str, ks=KS, ds=(4, 6)) -> Iterator[dict]:
                 yield _grouped(spark, sf, "tables", w, k, "grouped, noisy", d=d, noise=Noise())
 
 
-def ablation(spark: SparkSession, sf: str, ks=KS) -> Iterator[dict]:
+def ablation(spark: SparkSession, sf: str, ks=KS, workloads=("W7", "W8", "W9", "W10", "W11", "W13")) -> Iterator[dict]:
     """Grouped, coupled and exhaustive selection over the same candidates; k = 10 is beyond the budget."""
-    for w in ("W7", "W8", "W9", "W10", "W11", "W13"):
+    for w in workloads:
         for k in ks:
             for solver in ("grouped_exact", "coupled", "exhaustive"):
                 yield _grouped(spark, sf, "ablation", w, k, solver, solver=solver, budget=1_000_000)
 
 
-def frequencies(spark: SparkSession, sf: str, k: int = 3) -> Iterator[dict]:
-    for w in ("W7", "W8", "W12"):
+def frequencies(spark: SparkSession, sf: str, k: int = 3, workloads=("W7", "W8", "W12")) -> Iterator[dict]:
+    for w in workloads:
         d = WORKLOADS[w][1]
         for times in (1, 2, 4, 8):
             yield _grouped(spark, sf, "frequencies", w, k, m=times * k * d)
 
 
-def qubits(spark: SparkSession, sf: str, k: int = 3) -> Iterator[dict]:
-    for w in ("W7", "W8", "W12"):
+def qubits(spark: SparkSession, sf: str, k: int = 3, workloads=("W7", "W8", "W12")) -> Iterator[dict]:
+    for w in workloads:
         for b in (128, 256, 512, 1024):
             yield _grouped(spark, sf, "qubits", w, k, b=b, d=8)
 
@@ -95,6 +95,14 @@ def convergence(spark: SparkSession, sf: str) -> Iterator[dict]:
         points.unpersist()
 
 
+def markdown(rows: list[dict]) -> str:
+    """Runs as a table."""
+    names = ["grid", "dataset", "k", "solver", "m", "d", "b", "qubits", "sse", "over_seed", "status"]
+    cell = lambda v: "" if v is None else f"{v:.5g}" if isinstance(v, float) else str(v)
+    lines = ["| " + " | ".join(names) + " |", "| " + " | ".join("---" for _ in names) + " |"]
+    return "\n".join([*lines, *["| " + " | ".join(cell(r.get(n)) for n in names) + " |" for r in rows]])
+
+
 GRIDS = {f.__name__: f for f in (shapes, tables, ablation, frequencies, qubits, convergence)}
 
 
