@@ -37,6 +37,11 @@ def initial(df: DataFrame, k: int, init: str = "hash", seed: int = 42, prefix: s
 
 def kmeans(df: DataFrame, k: int, on: str = "full", init: str = "hash", iters: int = 20, seed: int = 42, sample_rows: int = 10_000, prefix: str = "z", n: int | None = None) -> np.ndarray:
     """Centroids in standardised space, ordered by coordinates."""
-    rows = sample.shared(df, sample_rows, seed, n) if on == "sample" else df
-    centroids, _ = lloyd.run(rows, initial(df, k, init, seed, prefix, n), iters, prefix=prefix)
+    first = initial(df, k, init, seed, prefix, n)
+    if on == "sample":
+        rows = sample.shared(df, sample_rows, seed, n).persist()  # ``sample_rows`` rows, read in every step
+        centroids, _ = lloyd.run(rows, first, iters, prefix=prefix)
+        rows.unpersist()
+    else:
+        centroids, _ = lloyd.run(df, first, iters, prefix=prefix)
     return centroids[np.lexsort(centroids.T[::-1])]
