@@ -756,11 +756,21 @@ def baseline_qubo(spark, sf):
     return _plain_summary(spark, c if c is not None else [], got.value or 0.0, got.status)
 
 
-@query("sweep_frequencies")
+def _sse_sql(workload: str, m: int, **settings) -> str:
+    """The SSE of a whole run in original units."""
+    d = len(POINTS[workload][1])
+    error = " + ".join(f"(fa.x{i} - (f.c{i} * s{i} + m{i})) * (fa.x{i} - (f.c{i} * s{i} + m{i}))" for i in range(d))
+    return f"with {sql_run(workload, m, **settings)} select sum({error}) as sse from fa join f on f.g = fa.g, st"
+
+
+_SWEEP = (6, 12, 24, 48)
+
+
+@query("sweep_frequencies", " union all ".join(f"select {m}::INT as m, round(log10(sse), 6) as log_sse from ({_sse_sql('W8', m)})" for m in _SWEEP))
 def sweep_frequencies(spark, sf):
-    """SSE over the number of frequencies, exact solver."""
-    rows = [(m, cluster(load(spark, sf, "W8"), K, m, solver="grouped_exact", seed_iters=5).sse) for m in (6, 12, 24, 48)]
-    return _frame(spark, rows, "m int, sse double")
+    """SSE over the number of frequencies, exact sketches and solver."""
+    rows = [(m, round(math.log10(_run("W8", m)(spark, sf).sse), 6)) for m in _SWEEP]
+    return _frame(spark, rows, "m int, log_sse double")
 
 
 @query("sweep_qubits")
@@ -777,9 +787,7 @@ _SOLVERS = ("grouped_exact", "coupled", "exhaustive")
 
 
 def _ablation_sql(workload: str = "W7", m: int = 28) -> str:
-    d = len(POINTS[workload][1])
-    error = " + ".join(f"(fa.x{i} - (f.c{i} * s{i} + m{i})) * (fa.x{i} - (f.c{i} * s{i} + m{i}))" for i in range(d))
-    runs = " union all ".join(f"select * from (with {sql_run(workload, m, solver)} select '{solver}' as solver, sum({error}) as sse from fa join f on f.g = fa.g, st)" for solver in _SOLVERS)
+    runs = " union all ".join(f"select '{solver}' as solver, sse from ({_sse_sql(workload, m, solver=solver)})" for solver in _SOLVERS)
     return f"with runs as materialized ({runs}) select '{workload}' as dataset, {K}::INT as k, solver, round(log10(sse), 6) as log_sse, round(sse / (select sse from runs where solver = 'grouped_exact'), 6) as ratio from runs"
 
 
