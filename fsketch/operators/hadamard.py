@@ -36,12 +36,14 @@ def expectation(sampled: DataFrame, frequencies: DataFrame, prefix: str = "z") -
     return out.select("j", "b", "slots", ((F.col("c") + F.col("slots") - F.col("b")) / F.col("slots")).alias("re"), (F.col("s") / F.col("slots")).alias("im"))
 
 
-def shots(mu: DataFrame, n_shots: int | None, seed: int = 42, mode: str = "hash", contrast: float = 1.0, flip: float = 0.0) -> DataFrame:
+def shots(mu: DataFrame, n_shots: int | None, seed: int = 42, mode: str = "hash", contrast: float = 1.0, flip: float = 0.0, p2: float = 0.0) -> DataFrame:
     """mu with re and im replaced by averages of ``n_shots`` coins of +1 and -1 each; None means infinitely many.
 
-    ``contrast`` shrinks the expectation (depolarisation of the ancilla), ``flip`` is the chance that a coin is read wrong.
+    ``contrast`` shrinks the expectation (depolarisation of the ancilla), ``p2`` does so once for each of the index register's
+    slots, ``flip`` is the chance that a coin is read wrong.
     """
-    bias = lambda c: contrast * (1 - 2 * flip) * F.col(c)
+    gates = F.pow(F.lit(1.0 - p2), F.col("slots")) if p2 else F.lit(1.0)
+    bias = lambda c: contrast * (1 - 2 * flip) * gates * F.col(c)
     if n_shots is None:
         return mu.withColumns({"re": bias("re"), "im": bias("im")})
     chance = lambda c: F.greatest(F.lit(0.0), F.least(F.lit(1.0), (1 + bias(c)) / 2))
@@ -61,7 +63,7 @@ def rescale(mu: DataFrame) -> DataFrame:
     return mu.select("j", (stretch * F.col("re") - (F.col("slots") - F.col("b")) / F.col("b")).alias("re"), (stretch * F.col("im")).alias("im"), F.col("b").alias("n"))
 
 
-def estimate_sketch(df: DataFrame, m: int, b: int = 256, n_shots: int | None = 1024, sampling: str = "per_frequency", sigma: float = 1.0, seed: int = 42, mode: str = "hash", contrast: float = 1.0, flip: float = 0.0, prefix: str = "z", n: int | None = None) -> DataFrame:
+def estimate_sketch(df: DataFrame, m: int, b: int = 256, n_shots: int | None = 1024, sampling: str = "per_frequency", sigma: float = 1.0, seed: int = 42, mode: str = "hash", contrast: float = 1.0, flip: float = 0.0, p2: float = 0.0, prefix: str = "z", n: int | None = None) -> DataFrame:
     """(j, re, im, n): the data sketch by phase sampling; phases are computed for sampled rows only. ``n`` saves counting the rows."""
     spark, d = df.sparkSession, len(feature_names(df, prefix))
     if sampling == "exact":
@@ -71,7 +73,7 @@ def estimate_sketch(df: DataFrame, m: int, b: int = 256, n_shots: int | None = 1
         rows = sample.shared(df, b, seed, n).crossJoin(F.broadcast(frequencies.select("j")))
     else:
         rows = sample.per_frequency(df, b, m, seed, n=n)
-    return rescale(shots(expectation(rows, frequencies, prefix), n_shots, seed, mode, contrast, flip))
+    return rescale(shots(expectation(rows, frequencies, prefix), n_shots, seed, mode, contrast, flip, p2))
 
 
 def _cluster_sums(assigned: DataFrame, w: np.ndarray, b: int, seed: int, sampling: str, sizes: dict, prefix: str) -> list:
@@ -92,7 +94,7 @@ def _cluster_sums(assigned: DataFrame, w: np.ndarray, b: int, seed: int, samplin
     return got
 
 
-def estimate_clusters(assigned: DataFrame, w: np.ndarray, b: int | None = 256, n_shots: int | None = 1024, seed: int = 42, contrast: float = 1.0, flip: float = 0.0, prefix: str = "z", sampling: str = "shared") -> tuple[np.ndarray, np.ndarray]:
+def estimate_clusters(assigned: DataFrame, w: np.ndarray, b: int | None = 256, n_shots: int | None = 1024, seed: int = 42, contrast: float = 1.0, flip: float = 0.0, p2: float = 0.0, prefix: str = "z", sampling: str = "shared") -> tuple[np.ndarray, np.ndarray]:
     """(k x m sketches, k counts) on the driver: per cluster from min(b, size) rows, or from all with b None.
 
     ``sampling`` says whether a cluster's rows are drawn once for all frequencies (``shared``) or anew for each
@@ -111,11 +113,11 @@ def estimate_clusters(assigned: DataFrame, w: np.ndarray, b: int | None = 256, n
         size[g] = n
     for r in sorted(rows, key=lambda r: (r.g, r.j)):
         value = complex(r.s_re, r.s_im)
-        if b is None or (n_shots is None and contrast == 1.0 and flip == 0.0):
+        if b is None or (n_shots is None and contrast == 1.0 and flip == 0.0 and p2 == 0.0):
             z[r.g, r.j] = value / r.n
             continue
         _, slots = register(r.n)
-        mu = (value + slots - r.n) / slots * contrast * (1 - 2 * flip)
+        mu = (value + slots - r.n) / slots * contrast * (1 - p2) ** slots * (1 - 2 * flip)
         if n_shots is not None:
             coin = lambda v: 2 * rng.binomial(n_shots, min(1.0, max(0.0, (1 + v) / 2))) / n_shots - 1
             mu = complex(coin(mu.real), coin(mu.imag))

@@ -59,7 +59,7 @@ def step(points: DataFrame, centroids: np.ndarray, w: np.ndarray, s: Settings, t
     p, shots = s.schedule(t) if s.schedule else (s.p, s.shots_phase)
     k = len(centroids)
     assigned = lloyd.assign(points, centroids)
-    contrast = {"contrast": s.noise.contrast, "flip": (s.noise.flip01 + s.noise.flip10) / 2} if s.noise else {}
+    contrast = s.noise.phase_test() if s.noise else {}
     zg, counts = hadamard.estimate_clusters(assigned, w, s.b, shots, s.seed + t, sampling=s.sampling, **contrast)
     zg = np.concatenate([zg, np.zeros((k - len(zg), len(w)), complex)])
     counts = np.concatenate([counts, np.zeros(k - len(counts), np.int64)])

@@ -176,7 +176,7 @@ def select(costs: list[np.ndarray], p: int = 1, how: str = "mode", n_shots: int
         a = optimise(c, p, mixer=mixer, init=init, init_angles=angles[g] if angles else None)
         probs = simulate(c - c.min(), a.gammas, a.betas, mixer, init)
         if noise is not None:
-            pick, share = noise.pick(probs, c, how, n_shots, ("noisy", seed, g))
+            pick, share = noise.pick(probs, c, how, n_shots, ("noisy", seed, g), p)
             feasible.append(share)
         else:
             pick = decode(probs, c, how, n_shots, (seed, g))

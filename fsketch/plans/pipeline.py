@@ -60,7 +60,7 @@ def cluster(
     settings = replace(Settings(d=d, p=p, b=b, shots_phase=shots_phase, shots_select=shots_select, solver=solver, noise=noise, seed=seed), **more)
     z = None
     if settings.sampling == "per_frequency" and b is not None:
-        fault = {"contrast": noise.contrast, "flip": (noise.flip01 + noise.flip10) / 2} if noise else {}
+        fault = noise.phase_test() if noise else {}
         z = sketch.vector(hadamard.estimate_sketch(points, m, b, shots_phase, "per_frequency", sigma, seed, "normal", n=scaler.n, **fault), m)
     first = seeds.kmeans(points, k, seed_on, seed_init, seed_iters, seed, n=scaler.n)
     centroids, history = refine.run(points, first, w, settings, 1 + refine_steps, tol, z=z)
