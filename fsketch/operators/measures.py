@@ -129,5 +129,33 @@ def observed(df: DataFrame, name: str):
     return df.observe(seen, F.count(F.lit(1)).alias("rows")), seen
 
 
+def _nodes(plan):
+    """Operators of a physical plan, through adaptive plans and their stages (which hide their children)."""
+    yield plan
+    inner = {"AdaptiveSparkPlanExec": "executedPlan", "ShuffleQueryStageExec": "plan", "BroadcastQueryStageExec": "plan", "TableCacheQueryStageExec": "plan", "ResultQueryStageExec": "plan"}.get(plan.getClass().getSimpleName())
+    if inner:
+        yield from _nodes(getattr(plan, inner)())
+    children = plan.children()
+    for i in range(children.size()):
+        yield from _nodes(children.apply(i))
+
+
+def io(df: DataFrame) -> dict[str, int]:
+    """Runs ``df`` and returns what its plan counted: rows and bytes of files scanned, rows and bytes shuffled, rows out.
+
+    Bytes scanned are the sizes of the files that were left after pruning partitions. Only sessions with a JVM of their own
+    give plan metrics.
+    """
+    execution = df._jdf.queryExecution()
+    out = {"rows_scanned": 0, "bytes_scanned": 0, "rows_shuffled": 0, "bytes_shuffled": 0, "rows_out": int(execution.toRdd().count())}
+    metric = {"FileSourceScanExec": {"rows_scanned": "numOutputRows", "bytes_scanned": "filesSize"}, "ShuffleExchangeExec": {"rows_shuffled": "shuffleRecordsWritten", "bytes_shuffled": "shuffleBytesWritten"}}
+    for node in _nodes(execution.executedPlan()):
+        for name, key in metric.get(node.getClass().getSimpleName(), {}).items():
+            found = node.metrics().get(key)
+            if found.isDefined():
+                out[name] += int(found.get().value())
+    return out
+
+
 def sketch_bytes(m: int) -> int:
     return 16 * m

@@ -137,24 +137,43 @@ def wcss_of_states(points: DataFrame, sets: Sets, states: np.ndarray, prefix: st
     return one.select(F.explode(F.array(*[F.struct(F.lit(i).alias("state"), F.col(f"v{i}").alias("wcss")) for i in range(len(states))])).alias("s")).select("s.*")
 
 
-def anneal(model: Model, penalty: float, sweeps: int = 400, restarts: int = 8, seed: int = 42) -> Solution:
-    """Single-bit Metropolis flips with a falling temperature, from random states."""
+def _walk(linear: np.ndarray, sym: np.ndarray, constant: float, sweeps: int, seed: tuple[int, int]) -> tuple[float, np.ndarray]:
+    """One restart: single-bit Metropolis flips with a falling temperature, from a random state. The best state after any sweep counts."""
+    n, rng = len(linear), np.random.Generator(np.random.PCG64(seed))
+    top = np.abs(linear).max() + np.abs(sym).sum(axis=1).max()
+    y = rng.integers(0, 2, n)
+    value = constant + linear @ y + y @ sym @ y
+    best, kept = np.inf, y
+    for s in range(sweeps):
+        heat = top * (1 - s / sweeps) ** 3 + 1e-9 * top + 1e-300
+        for i in rng.permutation(n):
+            step = (1 - 2 * y[i]) * (linear[i] + 2 * (sym[i] @ y - sym[i, i] * y[i])) + sym[i, i] * (1 - 2 * y[i])
+            if step <= 0 or rng.random() < np.exp(-step / heat):
+                y[i] ^= 1
+                value += step
+        if value < best - 1e-12:
+            best, kept = value, y.copy()
+    return float(best), kept
+
+
+def anneal(model: Model, penalty: float, sweeps: int = 400, restarts: int = 8, seed: int = 42, spark: SparkSession | None = None) -> Solution:
+    """The best of ``restarts`` annealing walks over the bits, the first of equals. With a session each walk is a row of a
+    task; the result is the same."""
     linear, quadratic, constant = model.matrix_form(penalty)
     sym, n = (quadratic + quadratic.T) / 2, len(linear)
-    rng = np.random.Generator(np.random.PCG64(seed))
-    best_y, best = None, np.inf
-    top = np.abs(linear).max() + np.abs(sym).sum(axis=1).max()
-    for _ in range(restarts):
-        y = rng.integers(0, 2, n)
-        value = constant + linear @ y + y @ sym @ y
-        for s in range(sweeps):
-            heat = top * (1 - s / sweeps) ** 3 + 1e-9 * top + 1e-300
-            for i in rng.permutation(n):
-                step = (1 - 2 * y[i]) * (linear[i] + 2 * (sym[i] @ y - sym[i, i] * y[i])) + sym[i, i] * (1 - 2 * y[i])
-                if step <= 0 or rng.random() < np.exp(-step / heat):
-                    y[i] ^= 1
-                    value += step
-            if value < best - 1e-12:
-                best, best_y = value, y.copy()
-    ok = best_y is not None and not model.one_hot_violation(best_y)[0]
-    return Solution([int(np.flatnonzero(best_y[model.group == g])[0]) for g in range(len(model.sizes))] if ok else None, float(best), restarts * sweeps * n, "solved" if ok else "infeasible")
+    if spark is None:
+        found = [(value, r, y) for r in range(restarts) for value, y in [_walk(linear, sym, constant, sweeps, (seed, r))]]
+    else:
+        ship(spark)
+
+        def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for b in batches:
+                ids = b.column("id").to_pylist()
+                got = [_walk(linear, sym, constant, sweeps, (seed, r)) for r in ids]
+                yield pa.RecordBatch.from_arrays([pa.array([v for v, _ in got], pa.float64()), pa.array(ids, pa.int64()), pa.array([y.tolist() for _, y in got], pa.list_(pa.int64()))], names=["value", "r", "y"])
+
+        rows = spark.range(0, restarts, 1, restarts).mapInArrow(work, "value double, r long, y array<long>").collect()  # a row per restart
+        found = [(row.value, row.r, np.array(row.y)) for row in rows]
+    best, _, y = min(found, key=lambda e: (round(e[0], 12), e[1]))
+    ok = not model.one_hot_violation(y)[0]
+    return Solution([int(np.flatnonzero(y[model.group == g])[0]) for g in range(len(model.sizes))] if ok else None, best, restarts * sweeps * n, "solved" if ok else "infeasible")

@@ -12,6 +12,7 @@ from pyspark.sql.window import Window
 from fsketch.functions.hashing import normal, py_normal, py_uniform, uniform
 from fsketch.operators import baselines, bounds, candidates, freq, hadamard, lloyd, measures, qubo, refine, resources, sample, scale, seed, sketch, solve, variational
 from fsketch.operators.noise import Noise
+from fsketch.plans import views
 from fsketch.plans.pipeline import cluster, compressive_baseline
 from fsketch.sources.workloads import WORKLOADS, load
 
@@ -248,6 +249,52 @@ def test_noise():
     assert Noise().pick(probs, c, "mode", 10_000, ("t",))[0] == 1 and Noise(postselect=False).pick(probs, c, "best_sampled", 10_000, ("t",))[0] == 1
 
 
+def test_noise_grows_with_the_gates(spark):
+    flat, gates = Noise(), Noise(p2=0.01)
+    assert flat.lost(4, 1) == flat.lost(8, 3) == pytest.approx(flat.depolarise) and flat.ancilla(256) == flat.contrast
+    assert gates.lost(4, 1) == pytest.approx(1 - 0.98 * 0.99**8)  # a ring of four has four edges of two gates
+    assert flat.lost(4) < gates.lost(4) < gates.lost(6) < gates.lost(6, 2)
+    probs = np.array([0.1, 0.8, 0.1])
+    rates = [measures.feasible_rate(gates.outcomes(probs, p)) for p in (1, 2, 4)]
+    assert rates == sorted(rates, reverse=True) and rates[0] < measures.feasible_rate(flat.outcomes(probs))
+    rows = spark.createDataFrame([(str(i), 0, 0.1 * i, -0.2 * i) for i in range(16)], "row_key string, g int, z0 double, z1 double")
+    w = freq.matrix(5, 2)
+    exact, clear, dim = (hadamard.estimate_clusters(rows, w, b, None, p2=p2)[0] for b, p2 in ((None, 0.0), (16, 0.0), (16, 0.01)))
+    assert np.allclose(clear, exact) and np.allclose(dim, exact * 0.99**16)
+    frame = hadamard.estimate_sketch(rows, 5, 16, None, "shared", p2=0.01)
+    assert np.allclose(sketch.vector(frame, 5), exact[0] * 0.99**16)
+
+
+def test_annealing_in_tasks(spark):
+    m = qubo.normalise(model(3, 3, rng=np.random.default_rng(3))[3])
+    a, b = (solve.anneal(m, qubo.penalty_weight(m), 60, 5, 9, s) for s in (None, spark))
+    assert a == b and a.selection is not None
+
+
+def test_plan_counts(spark, sf):
+    orders = spark.read.parquet(f"{sf}/orders.parquet")
+    n = orders.count()
+    scan = measures.io(orders.select("o_orderkey"))
+    assert scan["rows_scanned"] == scan["rows_out"] == n and scan["bytes_scanned"] > 0 and scan["rows_shuffled"] == scan["bytes_shuffled"] == 0
+    moved = measures.io(orders.repartition(4, "o_orderkey"))
+    assert moved["rows_shuffled"] == moved["rows_out"] == n and moved["bytes_shuffled"] > 0
+    points = scale.prepare(load(spark, sf, "W12"))[0]
+    summed = measures.io(sketch.exact(points, freq.matrix(8, 3)))
+    assert summed["rows_shuffled"] <= 64 and summed["rows_out"] == 8  # partial sums, not points
+
+
+def test_views(spark, sf, parts):
+    points, _ = parts
+    c, w = seed.initial(points, 3), freq.matrix(12, 2)
+    sets = candidates.around(c, 4, 0.2)
+    names = views.register(points, c, w, sets, "t_")
+    assert sorted(names) == sorted(views.VIEWS) and all(spark.catalog.tableExists(n) for n in names.values())
+    costs = qubo.grouped_costs(hadamard.estimate_clusters(lloyd.assign(points, c), w, None)[0], sets, w)
+    got = {(r.g, r.r): r.cost for r in spark.table("t_costs").collect()}
+    assert all(abs(got[g, r] - v) < 1e-9 for g, row in enumerate(costs) for r, v in enumerate(row)) and len(got) == 12
+    assert {r.g: r.r for r in spark.table("t_selection").collect()} == dict(enumerate(solve.grouped_exact(costs).selection))
+
+
 def test_relaxation_bounds(spark):
     for i in range(10):
         _, _, _, m = model(3, 2, rng=np.random.default_rng(i))
