@@ -7,6 +7,7 @@ import os
 import time
 
 from fsketch.operators import freq, lloyd, measures, scale, seed, sketch
+from fsketch.operators.noise import Noise
 from fsketch.plans.pipeline import cluster
 from fsketch.session import local_session
 from fsketch.sources.workloads import load
@@ -29,6 +30,13 @@ def main() -> None:
         for k in (3, 10):
             r = timed(f"cluster_{w}_k{k}", lambda w=w, k=k: cluster(load(spark, sf, w), k, seed_on="sample", seed_iters=8))
             facts[f"cluster_{w}_k{k}"] = {"sse": r.sse, "over_seed": round(r.sse / r.seed_sse, 4), "peak_qubits": r.peak_qubits, "m": r.params["m"]}
+    for name, w, settings in (
+        ("cluster_W9_k5", "W9", {"seed_on": "sample", "seed_iters": 8}), ("cluster_W13_k3", "W13", {"seed_on": "sample", "seed_iters": 8}),
+        ("cluster_W14_k5_full_seeding", "W14", {}), ("cluster_W14_k5_noisy", "W14", {"seed_on": "sample", "seed_iters": 8, "noise": Noise(p2=0.002)}),
+        ("cluster_W14_k5_per_frequency", "W14", {"seed_on": "sample", "seed_iters": 8, "sampling": "per_frequency"}),
+    ):
+        r = timed(name, lambda w=w, s=settings, k=int(name.split("_k")[1][0]): cluster(load(spark, sf, w), k, **s))
+        facts[name] = {"sse": r.sse, "over_seed": round(r.sse / r.seed_sse, 4), "peak_qubits": r.peak_qubits, "m": r.params["m"]}
     points, _ = timed("standardise_W14", lambda: scale.prepare(load(spark, sf, "W14")))
     timed("sketch_wide_m24", lambda: sketch.vector(sketch.exact(points, freq.matrix(24, 2), "wide"), 24))
     timed("sketch_arrow_m240", lambda: sketch.vector(sketch.exact(points, freq.matrix(240, 2), "arrow"), 240))

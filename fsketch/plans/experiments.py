@@ -19,6 +19,7 @@ from .pipeline import cluster, compressive_baseline
 SHAPES = ("W1", "W2", "W3", "W3b", "W4", "W5", "W6")
 TABLES = ("W7", "W8", "W9", "W10", "W11", "W12", "W13", "W14", "W15")
 KS = (3, 5, 10)
+NOISY = Noise(p2=0.002)
 
 
 def _row(grid: str, workload: str, k: int, solver: str, sse: float | None, **more) -> dict:
@@ -61,7 +62,7 @@ def tables(spark: SparkSession, sf: str, ks=KS, ds=(4, 6), workloads=TABLES) ->
             yield _row("tables", w, k, "compressive", sse, m=freq.default_m(k, WORKLOADS[w][1]))
             for d in ds:
                 yield _grouped(spark, sf, "tables", w, k, d=d)
-                yield _grouped(spark, sf, "tables", w, k, "grouped, noisy", d=d, noise=Noise())
+                yield _grouped(spark, sf, "tables", w, k, "grouped, noisy", d=d, noise=NOISY)
 
 
 def ablation(spark: SparkSession, sf: str, ks=KS, workloads=("W7", "W8", "W9", "W10", "W11", "W13")) -> Iterator[dict]:

@@ -7,6 +7,7 @@ and m frequencies; the SQL is put together from common table expressions.
 from __future__ import annotations
 
 import math
+from concurrent.futures import ThreadPoolExecutor
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
@@ -18,10 +19,12 @@ from ..operators import baselines, bounds, candidates, freq, hadamard, lloyd, me
 from ..operators.noise import Noise
 from ..sources.io import table
 from ..sources.workloads import load
+from . import views
 from .pipeline import cluster, compressive_baseline
 
 K, D, M = 3, 4, 24
 JITTER = 0.2
+NOISY = Noise(p2=0.002)
 
 # ---- SQL pieces ----
 LINE_KEY = "concat_ws('|', l_orderkey::VARCHAR, l_partkey::VARCHAR, l_suppkey::VARCHAR, l_linenumber::VARCHAR, strftime(l_shipdate, '%Y-%m-%d %H:%M:%S'), l_extendedprice::VARCHAR)"
@@ -309,7 +312,7 @@ def hadamard_shots(spark, sf):
     return rounded(hadamard.estimate_sketch(_prepared(spark, sf, "W8"), 8, 48, 1024).select("j", "re", "im"), "re", "im")
 
 
-_REPS = 50
+_REPS = 200
 _HS = sql_uniform("'s'", "seed", "row_key")
 
 
@@ -395,6 +398,14 @@ Q["grouped_cluster"] = _grouped("W8", M)
 Q["grouped_cluster_lineitem"] = _grouped("W12", 12)
 
 
+@query("ops_sql_views", Q["grouped_cluster"][1])
+def ops_sql_views(spark, sf):
+    """The same selection, read from the model's views."""
+    p = _Parts(spark, sf)
+    names = views.register(p.points, p.centroids, p.w, p.sets)
+    return spark.sql(f"select g, r, round(cost, 6) + 0.0 as cost from {names['selection']}")
+
+
 @query("grouped_global", f"with {sql_model()}, {_LIN}, e as (select b.g, b.r, b.b + q.q as cost from b join q on q.g = b.g and q.r = b.r and q.g2 = b.g and q.r2 = b.r) select g, r, {r6('cost')} as cost from (select *, row_number() over (partition by g order by cost, r) as rn from e) where rn = 1")
 def grouped_global(spark, sf):
     return rounded(_frame(spark, _picked(qubo.global_costs(qubo.decouple(_Parts(spark, sf).model()))), "g int, r int, cost double"), "cost")
@@ -577,9 +588,9 @@ def pipeline_grouped_exact(spark, sf):
     return centroids.join(sizes, "g", "left").select("g", F.round("c0", 6).alias("c0"), F.round("c1", 6).alias("c1"), F.coalesce("n", F.lit(0)).alias("n"), "wcss")
 
 
-def sql_run(workload: str, m: int, solver: str = "grouped_exact", rounds: int = 1, k: int = K, iters: int = 3, b: int | None = None) -> str:
+def sql_run(workload: str, m: int, solver: str = "grouped_exact", rounds: int = 1, k: int = K, iters: int = 3, b: int | None = None, shared: bool = False) -> str:
     """CTEs of a whole run up to f (the centroids) and fa (the points with their cluster and distance). With b, the sketches come
-    from subsamples of b rows per frequency, dealt out of the rows in hash order."""
+    from subsamples of b rows per frequency, dealt out of the rows in hash order, or of the first b rows for all frequencies."""
     d = len(POINTS[workload][1])
     cs = ", ".join(f"c{i}" for i in range(d))
     out = [sql_points(workload), sql_freq(m, d), sql_distinct_first(k, d), sql_lloyd(iters, d, k)]
@@ -587,14 +598,14 @@ def sql_run(workload: str, m: int, solver: str = "grouped_exact", rounds: int =
     rank = lambda by: f"row_number() over ({by} order by {_H}, row_key) - 1"
     if b is None:
         out.append(sql_sketch(d))
-    else:
+    elif not shared:
         out.append(f"zx as materialized (select w.j, avg(cos({sql_dot(d, 's.z')})) as re, avg(sin({sql_dot(d, 's.z')})) as im from (select *, {rank('')} as rn from z) s join w on w.j = s.rn // {b} group by w.j)")
     for t in range(rounds):
         out.append(sql_assign(d, f"at{t}", f"e{t}"))
         if b is None:
             out.append(f"zg{t} as materialized (select g, j, avg(cos({sql_dot(d, 'a.z')})) as re, avg(sin({sql_dot(d, 'a.z')})) as im from at{t} a cross join w group by g, j)")
         else:
-            out.append(f"zg{t} as materialized (select s.g, w.j, avg(cos({sql_dot(d, 's.z')})) as re, avg(sin({sql_dot(d, 's.z')})) as im from (select *, {rank('partition by g')} as rn from at{t}) s join w on w.j = s.rn // {b} group by s.g, w.j)")
+            out.append(f"zg{t} as materialized (select s.g, w.j, avg(cos({sql_dot(d, 's.z')})) as re, avg(sin({sql_dot(d, 's.z')})) as im from (select *, {rank('partition by g')} as rn from at{t}) s join w on {f's.rn < {b}' if shared else f'w.j = s.rn // {b}'} group by s.g, w.j)")
         moved = ", ".join(f"c{i} + case when r = 0 then 0 else {JITTER * 0.7**t!r} * {sql_normal(chr(39) + 'c' + chr(39), '42', str(t), 'g', 'r', str(i))} end as v{i}" for i in range(d))
         out.append(f"cand{t} as materialized (select g, r::INT as r, {moved} from e{t}, range({D}) x(r))")
         out.append(f"v{t} as materialized (select g, r, j, cos({sql_dot(d, 'v', 'w')}) as re, sin({sql_dot(d, 'v', 'w')}) as im from cand{t} cross join w)")
@@ -619,10 +630,10 @@ def sql_run(workload: str, m: int, solver: str = "grouped_exact", rounds: int =
     return ", ".join(out)
 
 
-def _run(workload: str, m: int, solver: str = "grouped_exact", rounds: int = 1, k: int = K, iters: int = 3, b: int | None = None):
+def _run(workload: str, m: int, solver: str = "grouped_exact", rounds: int = 1, k: int = K, iters: int = 3, b: int | None = None, shared: bool = False, **more):
     return lambda spark, sf: cluster(
         load(spark, sf, workload), k, m, D, b=b, shots_phase=None, solver=solver, refine_steps=rounds - 1, accept="guard" if solver == "grouped_exact" else "raw", seed_iters=iters, jitter=JITTER, tol=-1.0,
-        sampling="shared" if b is None else "per_frequency",
+        sampling="shared" if b is None or shared else "per_frequency", **more,
     )
 
 
@@ -649,7 +660,7 @@ def _record(workload: str, k: int = K, **settings):
 
 Q["pipeline_circuit"] = (_record("W8"), None)
 Q["pipeline_circuit_refined"] = (_record("W10", refine_steps=3, accept="guard", decode="best_sampled"), None)
-Q["pipeline_noisy"] = (_record("W8", noise=Noise()), None)
+Q["pipeline_noisy"] = (_record("W8", noise=NOISY), None)
 Q["pipeline_refined"] = _whole_run("W10", 16, rounds=3)
 Q["pipeline_coupled"] = _whole_run("W7", 28, solver="coupled")
 Q["pipeline_exhaustive"] = _whole_run("W7", 28, solver="exhaustive")
@@ -763,45 +774,72 @@ def _sse_sql(workload: str, m: int, **settings) -> str:
     return f"with {sql_run(workload, m, **settings)} select sum({error}) as sse from fa join f on f.g = fa.g, st"
 
 
-_SWEEP = (6, 12, 24, 48)
+_SWEPT = ("W7", "W8", "W12")
+_TIMES = (1, 2, 4, 8)
+_SIZES = (128, 256, 512, 1024)
+
+
+def _at_once(jobs: list, workers: int = 4) -> list:
+    """Results of independent runs; their many small jobs overlap."""
+    with ThreadPoolExecutor(workers) as pool:
+        return [f.result() for f in [pool.submit(job) for job in jobs]]
 
 
-@query("sweep_frequencies", " union all ".join(f"select {m}::INT as m, round(log10(sse), 6) as log_sse from ({_sse_sql('W8', m)})" for m in _SWEEP))
+def _base_m(workload: str) -> int:
+    return K * len(POINTS[workload][1])
+
+
+def _all(parts) -> str:
+    return " union all ".join(parts)
+
+
+@query("sweep_frequencies", _all(f"select '{w}' as dataset, {t * _base_m(w)}::INT as m, round(log10(sse), 6) as log_sse from ({_sse_sql(w, t * _base_m(w))})" for w in _SWEPT for t in _TIMES))
 def sweep_frequencies(spark, sf):
-    """SSE over the number of frequencies, exact sketches and solver."""
-    rows = [(m, round(math.log10(_run("W8", m)(spark, sf).sse), 6)) for m in _SWEEP]
-    return _frame(spark, rows, "m int, log_sse double")
+    """SSE over the number of frequencies (k d times 1, 2, 4 and 8), exact sketches and solver."""
+    cells = [(w, t * _base_m(w)) for w in _SWEPT for t in _TIMES]
+    got = _at_once([lambda w=w, m=m: _run(w, m)(spark, sf).sse for w, m in cells])
+    return _frame(spark, [(w, m, round(math.log10(sse), 6)) for (w, m), sse in zip(cells, got, strict=True)], "dataset string, m int, log_sse double")
 
 
-@query("sweep_qubits")
+@query("sweep_qubits", _all(f"select '{w}' as dataset, {b}::INT as b, {resources.peak(D, b)}::INT as peak_qubits, round(log10(sse), 6) as log_sse from ({_sse_sql(w, 4 * _base_m(w), b=b, shared=True)})" for w in _SWEPT for b in _SIZES))
 def sweep_qubits(spark, sf):
-    """Peak qubits and SSE over the sample size."""
-    rows = []
-    for b in (128, 256, 512, 1024):
-        r = cluster(load(spark, sf, "W8"), K, b=b, solver="grouped_exact", seed_iters=5)
-        rows.append((b, r.peak_qubits, r.sse))
-    return _frame(spark, rows, "b int, peak_qubits int, sse double")
+    """Peak qubits and SSE over the sample size, shots left out."""
+    cells = [(w, b) for w in _SWEPT for b in _SIZES]
+    got = _at_once([lambda w=w, b=b: _run(w, 4 * _base_m(w), b=b, shared=True)(spark, sf) for w, b in cells])
+    rows = [(w, b, r.peak_qubits, round(math.log10(r.sse), 6)) for (w, b), r in zip(cells, got, strict=True)]
+    return _frame(spark, rows, "dataset string, b int, peak_qubits int, log_sse double")
 
 
 _SOLVERS = ("grouped_exact", "coupled", "exhaustive")
+_ABLATED = [(w, k) for w in ("W7", "W8") for k in (3, 5, 10)]
+_M_ABLATED = 28
+
 
+def _ablation_sql() -> str:
+    """Joint searches over ten groups have no solution, so they have no run."""
+    def one(w: str, k: int, solver: str) -> str:
+        if k == 10 and solver != "grouped_exact":
+            return f"select '{w}' as dataset, {k}::INT as k, '{solver}' as solver, 'no_solution' as status, null::DOUBLE as sse"
+        return f"select '{w}' as dataset, {k}::INT as k, '{solver}' as solver, 'solved' as status, sse from ({_sse_sql(w, _M_ABLATED, solver=solver, k=k)})"
 
-def _ablation_sql(workload: str = "W7", m: int = 28) -> str:
-    runs = " union all ".join(f"select '{solver}' as solver, sse from ({_sse_sql(workload, m, solver=solver)})" for solver in _SOLVERS)
-    return f"with runs as materialized ({runs}) select '{workload}' as dataset, {K}::INT as k, solver, round(log10(sse), 6) as log_sse, round(sse / (select sse from runs where solver = 'grouped_exact'), 6) as ratio from runs"
+    runs = _all(one(w, k, solver) for w, k in _ABLATED for solver in _SOLVERS)
+    return f"with runs as materialized ({runs}) select dataset, k, solver, status, round(log10(sse), 6) as log_sse, round(sse / max(case when solver = 'grouped_exact' then sse end) over (partition by dataset, k), 6) as ratio from runs"
 
 
 @query("ablation", _ablation_sql())
 def ablation(spark, sf):
-    """Grouped, coupled and exhaustive selection over the same candidates, SSE relative to grouped; all grids are in ``experiments``."""
-    runs = [("W7", K, s, _run("W7", 28, s)(spark, sf).sse) for s in _SOLVERS]
-    got = measures.compare(_frame(spark, runs, "dataset string, k int, solver string, sse double"), "grouped_exact")
-    return got.select("dataset", "k", "solver", F.round(F.log10("sse"), 6).alias("log_sse"), F.round("ratio", 6).alias("ratio"))
+    """Grouped, coupled and exhaustive selection over the same candidates, SSE relative to grouped; at k = 10 the joint searches
+    are beyond the budget of states. More tables are in ``experiments``."""
+    cells = [(w, k, solver) for w, k in _ABLATED for solver in _SOLVERS]
+    got = _at_once([lambda w=w, k=k, solver=solver: _run(w, _M_ABLATED, solver, k=k, budget=1_000_000)(spark, sf) for w, k, solver in cells])
+    runs = [(*cell, r.status, r.sse if r.status == "solved" else None) for cell, r in zip(cells, got, strict=True)]
+    got = measures.compare(_frame(spark, runs, "dataset string, k int, solver string, status string, sse double"), "grouped_exact")
+    return got.select("dataset", "k", "solver", "status", F.round(F.log10("sse"), 6).alias("log_sse"), F.round("ratio", 6).alias("ratio"))
 
 
 @query("noise_drift")
 def noise_drift(spark, sf):
-    ideal, noisy = (cluster(load(spark, sf, "W8"), K, noise=n, seed_iters=5).sse for n in (None, Noise()))
+    ideal, noisy = (cluster(load(spark, sf, "W8"), K, noise=n, seed_iters=5).sse for n in (None, NOISY))
     return _frame(spark, [(ideal, noisy, measures.drift(ideal, noisy))], "ideal double, noisy double, drift double")
 
 
