@@ -31,7 +31,6 @@ def main() -> None:
             r = timed(f"cluster_{w}_k{k}", lambda w=w, k=k: cluster(load(spark, sf, w), k, seed_on="sample", seed_iters=8))
             facts[f"cluster_{w}_k{k}"] = {"sse": r.sse, "over_seed": round(r.sse / r.seed_sse, 4), "peak_qubits": r.peak_qubits, "m": r.params["m"]}
     for name, w, settings in (
-        ("cluster_W9_k5", "W9", {"seed_on": "sample", "seed_iters": 8}), ("cluster_W13_k3", "W13", {"seed_on": "sample", "seed_iters": 8}),
         ("cluster_W14_k5_full_seeding", "W14", {}), ("cluster_W14_k5_noisy", "W14", {"seed_on": "sample", "seed_iters": 8, "noise": Noise(p2=0.002)}),
         ("cluster_W14_k5_per_frequency", "W14", {"seed_on": "sample", "seed_iters": 8, "sampling": "per_frequency"}),
     ):
