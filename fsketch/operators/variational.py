@@ -134,7 +134,7 @@ def optimise(costs: np.ndarray, p: int = 1, grid: int = 17, refine: int = 40, mi
         a = np.concatenate([np.resize(init_angles.gammas * spread, p), np.resize(init_angles.betas, p)])
     else:
         g, b = np.linspace(0, 2 * np.pi, grid), np.linspace(0, np.pi / 2, grid)
-        pairs = [(value(np.concatenate([np.full(p, x), np.full(p, y)])), x, y) for x in g for y in b]
+        pairs = [(round(value(np.concatenate([np.full(p, x), np.full(p, y)])), 9), x, y) for x in g for y in b]  # ties by order
         _, x, y = min(pairs)
         a = np.concatenate([np.full(p, x), np.full(p, y)])
     best, step = value(a), np.concatenate([np.full(p, 2 * np.pi / grid), np.full(p, np.pi / 2 / grid)]) / 2
@@ -152,17 +152,22 @@ def optimise(costs: np.ndarray, p: int = 1, grid: int = 17, refine: int = 40, mi
     return Angles(a[:p] / spread, a[p:], best)
 
 
-def sample_shots(probs: np.ndarray, n_shots: int, *tag) -> np.ndarray:
-    """Counts per outcome: inverse-CDF draws from hashed uniforms, seeded by the tag."""
+def sample_shots(probs: np.ndarray, n_shots: int, *tag, hashed: bool = False) -> np.ndarray:
+    """Counts per outcome, seeded by the tag: a multinomial draw, or with ``hashed`` one uniform per shot against the cumulative
+    probabilities, which SQL can repeat."""
+    if hashed:
+        x = np.array([py_uniform("shots", *tag, t) for t in range(n_shots)])
+        at = np.searchsorted(np.cumsum(probs), x)
+        return np.bincount(np.minimum(at, len(probs) - 1), minlength=len(probs))
     rng = np.random.Generator(np.random.PCG64(int(py_uniform("shots", *tag) * (1 << 48))))
     return rng.multinomial(n_shots, probs / probs.sum())
 
 
-def decode(probs: np.ndarray, costs: np.ndarray, how: str = "mode", n_shots: int = 10_000, tag: tuple = ()) -> int:
+def decode(probs: np.ndarray, costs: np.ndarray, how: str = "mode", n_shots: int = 10_000, tag: tuple = (), hashed: bool = False) -> int:
     """The most frequent outcome (``mode``), the cheapest one seen (``best_sampled``) or the most probable (``exact_prob``)."""
     if how == "exact_prob":
         return int(np.argmax(np.round(probs, 12)))
-    counts = sample_shots(probs, n_shots, *tag)
+    counts = sample_shots(probs, n_shots, *tag, hashed=hashed)
     if how == "mode":
         return int(np.argmax(counts))
     seen = np.flatnonzero(counts)

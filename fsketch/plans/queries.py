@@ -492,29 +492,31 @@ def circuit_p1_probs(spark, sf):
 
 @query("circuit_best_angle", _CIRCUIT + ", m as (select pr.g, gi, bi, round(sum(round(prob, 9) * round(c, 9)), 6) + 0.0 as mean from pr join u on u.g = pr.g and u.r = pr.r group by pr.g, gi, bi) select g, gi, bi, mean from (select *, row_number() over (partition by g order by mean, gi, bi) as rn from m) where rn = 1")
 def circuit_best_angle(spark, sf):
-    """The grid's angles of least mean cost, ties by order."""
-    from pyspark.sql.window import Window
+    """The angle search on its grid: the angles of least mean cost, ties by order."""
+    out = []
+    for g, c in enumerate(_Parts(spark, sf).costs()):
+        a = variational.optimise(c, grid=9, refine=0)
+        gi, bi = round(float(a.gammas[0]) * float(np.ptp(c)) * 8 / (2 * math.pi)), round(float(a.betas[0]) * 16 / math.pi)
+        out.append((g, gi, bi, a.value))
+    return rounded(_frame(spark, out, "g int, gi int, bi int, mean double"), "mean")
 
-    costs = _Parts(spark, sf).costs()
-    unit = _frame(spark, [(g, r, float(v)) for g, c in enumerate(costs) for r, v in enumerate((c - c.min()) / np.ptp(c))], "g int, r int, c double")
-    probs = _frame(spark, _p1_table(spark, sf), "g int, gi int, bi int, r int, prob double")
-    mean = probs.join(F.broadcast(unit), ["g", "r"]).groupBy("g", "gi", "bi").agg((F.round(F.sum(F.round("prob", 9) * F.round("c", 9)), 6) + F.lit(0.0)).alias("mean"))
-    return mean.withColumn("rn", F.row_number().over(Window.partitionBy("g").orderBy("mean", "gi", "bi"))).where("rn = 1").drop("rn")
 
+_SHOTS = f"""one as (select g, r, sum(prob) over (partition by g order by r) as cdf from pr where gi = 3 and bi = 2),
+sh as materialized (select g, t, {sql_uniform("'shots'", '42', 'g', 't')} as x from range({K}) a(g), range(1000) b(t)),
+hit as (select sh.g, sh.t, min(r) as r from sh join one on one.g = sh.g and x <= cdf group by sh.g, sh.t), n as (select g::INT as g, r, count(*) as shots from hit group by g, r),
+ranked as (select n.*, cost, row_number() over (partition by g order by shots desc, r) = 1 as mode, row_number() over (partition by g order by cost, r) = 1 as best_sampled from n join cost using (g, r))"""
 
-@query("circuit_decode", _CIRCUIT + f", one as (select g, r, sum(prob) over (partition by g order by r) as cdf from pr where gi = 3 and bi = 2), sh as (select g, t, {sql_uniform(chr(39) + 'd' + chr(39), '42', 'g', 't')} as x from range(3) a(g), range(1000) b(t)), hit as (select sh.g, sh.t, min(r) as r from sh join one on one.g = sh.g and x <= cdf group by sh.g, sh.t) select g::INT as g, r, count(*) as shots from hit group by g, r")
-def circuit_decode(spark, sf):
-    """Shots by inverse distribution: hashed uniforms joined to cumulative probabilities by range."""
-    from pyspark.sql.window import Window
 
-    from ..functions.hashing import uniform
-
-    probs = _frame(spark, _p1_table(spark, sf), "g int, gi int, bi int, r int, prob double").where("gi = 3 and bi = 2")
-    cdf = probs.withColumn("cdf", F.sum("prob").over(Window.partitionBy("g").orderBy("r")))
-    shots = spark.range(K * 1000).select((F.col("id") % K).cast("int").alias("sg"), F.expr(f"id div {K}").alias("t"))
-    shots = shots.withColumn("x", uniform("d", 42, F.col("sg"), F.col("t")))
-    hit = shots.join(F.broadcast(cdf), (F.col("sg") == F.col("g")) & (F.col("x") <= F.col("cdf"))).groupBy("g", "t").agg(F.min("r").alias("r"))
-    return hit.groupBy("g", "r").agg(F.count(F.lit(1)).alias("shots"))
+@query("circuit_decode", _CIRCUIT + f", {_SHOTS} select g, r, shots, mode, best_sampled from ranked")
+def circuit_decode(spark, sf):
+    """Shots of hashed uniforms at one pair of angles, and what two ways of decoding make of them."""
+    out, gammas, betas = [], np.arange(9) * 2 * np.pi / 8, np.arange(9) * np.pi / 2 / 8
+    for g, c in enumerate(_Parts(spark, sf).costs()):
+        probs = variational.simulate((c - c.min()) / np.ptp(c), gammas[3:4], betas[2:3])
+        counts = variational.sample_shots(probs, 1000, 42, g, hashed=True)
+        mode, cheapest = (variational.decode(probs, c, how, 1000, (42, g), hashed=True) for how in ("mode", "best_sampled"))
+        out += [(g, r, n, r == mode, r == cheapest) for r, n in enumerate(counts.tolist()) if n]
+    return _frame(spark, out, "g int, r int, shots long, mode boolean, best_sampled boolean")
 
 
 @query("relaxation_bound", f"with {sql_model()}, {_LIN}, x as (select g, g2, max(abs(q)) as m from q where g <> g2 group by g, g2) select {r6('2 * sum(m) filter (g < g2)')} as pointwise, {r6('4 * sum(m) filter (g < g2)')} as gap from x")
