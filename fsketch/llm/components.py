@@ -43,3 +43,16 @@ def connected_components(links: DataFrame, a: str = "a", b: str = "b", max_round
             )
         state = tuple(now)
     raise RuntimeError(f"components did not settle in {max_rounds} rounds")
+
+
+#: A key that at least one in so many rows bears is hot; there are at most so many of these.
+HOT_SHARE = 1000
+
+
+def join_labels(rows: DataFrame, labels: DataFrame, key: str, count: str = "n") -> DataFrame:
+    """``rows`` with the columns of ``labels``, which has one row per key and in ``count`` the number of rows that bear it. No task
+    gets all rows of a hot key: the labels of these, ``HOT_SHARE`` at most, are broadcast, and only the other rows are shuffled."""
+    hot = F.col(count) * HOT_SHARE >= F.lit(rows.count())
+    heavy, light = F.broadcast(labels.where(hot).drop(count)), labels.where(~hot).drop(count)
+    rest = rows.join(F.broadcast(labels.where(hot).select(key)), key, "left_anti")
+    return rows.join(heavy, key).unionByName(rest.join(light, key))

@@ -7,6 +7,7 @@ import pytest
 
 import corpus_pipeline
 from fsketch.llm import near_copies, simhash
+from fsketch.llm.components import HOT_SHARE, join_labels
 
 from .conftest import SCHEMA, prose
 
@@ -77,3 +78,15 @@ def test_stage_drops_rows_not_ids(spark):
     kept = corpus_pipeline.simhash_near_dedup(spark, docs, "")
     found = sorted(((r.doc_id or 0, r.text) for r in kept.collect()), key=str)
     assert kept.columns == docs.columns and found == sorted([(0, base), (1, base), (5, other), (9, third), (9, prose(4, 100))], key=str)
+
+
+def test_labels_of_hot_keys(spark):
+    """A third of the rows bear one key: the result is that of a plain join, and only rows of other keys are shuffled."""
+    keys = ["hot"] * 2000 + ["warm"] * 3 + [f"k{i}" for i in range(4000)] + ["unknown", None]
+    rows = spark.createDataFrame(list(enumerate(keys)), "id long, key string")
+    counts = {k: keys.count(k) for k in set(keys) - {"unknown", None}}
+    labels = spark.createDataFrame([(k, f"of {k}", n) for k, n in counts.items()], "key string, label string, n long")
+    got = [(r.id, r.key, r.label) for r in join_labels(rows, labels, "key").collect()]
+    assert sorted(got) == [(i, k, f"of {k}") for i, k in enumerate(keys) if k in counts]
+    assert sum(n * HOT_SHARE >= len(keys) for n in counts.values()) == 1
+    assert join_labels(rows.limit(0), labels.limit(0), "key").count() == 0
