@@ -2,6 +2,7 @@ import numpy as np
 from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
+from fsketch.plans import relational
 from fsketch.plans.pipeline import cluster
 from fsketch.sources import io
 from fsketch.sources.workloads import load
@@ -44,3 +45,15 @@ def test_entry(spark):
     rows = entry.entry(spark).collect()
     assert len(rows) == 3 and sum(r.n for r in rows) == 200
     assert set(entry.oracle_sql()) <= set(entry.queries())
+
+
+def plan_of(df):
+    return df._jdf.queryExecution().analyzed().toString()
+
+
+def test_stream_dedup_leaves_rows_in_files(spark, sf):
+    """What grows with the rows is in files of the tasks, not in a table of the driver's memory."""
+    got = relational.Q["ops_stream_dedup"][0](spark, sf)
+    assert got.inputFiles() and "MemoryPlan" not in plan_of(got)
+    assert sum(r.n for r in got.collect()) == 1000
+    assert windows.run_to_table(windows.events(spark, f"{sf}/events.parquet").where("event_id < 0")).count() == 0
