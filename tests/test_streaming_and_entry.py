@@ -57,3 +57,11 @@ def test_stream_dedup_leaves_rows_in_files(spark, sf):
     assert got.inputFiles() and "MemoryPlan" not in plan_of(got)
     assert sum(r.n for r in got.collect()) == 1000
     assert windows.run_to_table(windows.events(spark, f"{sf}/events.parquet").where("event_id < 0")).count() == 0
+
+
+def test_stream_sessions_leave_rows_in_files(spark, sf):
+    got = relational.Q["ops_stream_session"][0](spark, sf)
+    assert got.inputFiles() and "MemoryPlan" not in plan_of(got)
+    assert sum(r.n * r.sessions for r in got.collect()) == 1000
+    none = windows.sessions(windows.events(spark, f"{sf}/events.parquet").where("event_id < 0")).select("user_id", "n")
+    assert windows.run_to_table(none, "complete").count() == 0
