@@ -90,3 +90,14 @@ def test_labels_of_hot_keys(spark):
     assert sorted(got) == [(i, k, f"of {k}") for i, k in enumerate(keys) if k in counts]
     assert sum(n * HOT_SHARE >= len(keys) for n in counts.values()) == 1
     assert join_labels(rows.limit(0), labels.limit(0), "key").count() == 0
+
+
+def test_pairs_that_bands_and_hubs_miss(spark, monkeypatch):
+    """Without any candidate of the bands and fingerprints, the filter still leads to every component."""
+    whole = near_copies.candidates
+    monkeypatch.setattr(near_copies, "candidates", lambda texts: whole(texts).limit(0))
+    data = {i: t for i, t in texts().items() if i < 1020} | {5000: "a b c d e f", 5001: "a b c d e f g", 5002: "one two", 5003: ""}
+    pairs, want = components(data)
+    assert len(pairs) > 60 and len(set(want.values())) > 30
+    docs = spark.createDataFrame([(i, t, *[None] * 8) for i, t in data.items()], SCHEMA).repartition(4)
+    assert {r.doc_id: r.component_id for r in near_copies.near_copies(docs).collect()} == want
