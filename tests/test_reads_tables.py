@@ -16,3 +16,9 @@ def test_no_solution_of_a_model_of_parts(spark, monkeypatch):
     monkeypatch.setattr(solve, "coupled", lambda s, model, budget: seen.append(model) or whole(s, model, budget))
     assert queries.Q["coupled_no_solution"][0](spark, SF).first().asDict() == {"status": "no_solution", "states": 6**10}
     assert len(seen[0].linear) == 60 and np.abs(seen[0].linear).min() > 0
+
+
+def test_frequencies_of_parts(spark):
+    got = {r.j: (r.w0, r.w1) for r in queries.Q["freq_draw"][0](spark, SF).collect()}
+    assert got.keys() == set(pd.read_parquet(f"{SF}/part.parquet").p_partkey)
+    assert all(np.allclose(w, [py_normal("w", 42, j, c) for c in range(2)], atol=1e-6) for j, w in got.items())
