@@ -22,3 +22,8 @@ def test_frequencies_of_parts(spark):
     got = {r.j: (r.w0, r.w1) for r in queries.Q["freq_draw"][0](spark, SF).collect()}
     assert got.keys() == set(pd.read_parquet(f"{SF}/part.parquet").p_partkey)
     assert all(np.allclose(w, [py_normal("w", 42, j, c) for c in range(2)], atol=1e-6) for j, w in got.items())
+
+
+def test_bits_of_orders(spark):
+    got = {r.i: (r.a, r.o, r.x, r.s, r.b) for r in relational.Q["ops_bits"][0](spark, SF).collect()}
+    assert got == {int(i): (i & 12, i | 3, i ^ 5, i >> 1, int(i).bit_count()) for i in pd.read_parquet(f"{SF}/orders.parquet").o_orderkey}
