@@ -27,3 +27,9 @@ def test_frequencies_of_parts(spark):
 def test_bits_of_orders(spark):
     got = {r.i: (r.a, r.o, r.x, r.s, r.b) for r in relational.Q["ops_bits"][0](spark, SF).collect()}
     assert got == {int(i): (i & 12, i | 3, i ^ 5, i >> 1, int(i).bit_count()) for i in pd.read_parquet(f"{SF}/orders.parquet").o_orderkey}
+
+
+def test_function_over_parts(spark):
+    got = {r.g: r.cost for r in relational.Q["ops_sql_function"][0](spark, SF).collect()}
+    parts = pd.read_parquet(f"{SF}/part.parquet")
+    assert np.allclose([got[k] for k in parts.p_partkey], (parts.p_size - 1.5) ** 2 + (parts.p_retailprice / 2) ** 2) and len(got) == len(parts)
