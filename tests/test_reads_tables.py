@@ -33,3 +33,10 @@ def test_function_over_parts(spark):
     got = {r.g: r.cost for r in relational.Q["ops_sql_function"][0](spark, SF).collect()}
     parts = pd.read_parquet(f"{SF}/part.parquet")
     assert np.allclose([got[k] for k in parts.p_partkey], (parts.p_size - 1.5) ** 2 + (parts.p_retailprice / 2) ** 2) and len(got) == len(parts)
+
+
+def test_resources_of_suppliers(spark):
+    got = queries.Q["resources_grid"][0](spark, SF).collect()
+    sizes = set(pd.read_parquet(f"{SF}/lineitem.parquet").groupby("l_suppkey").size())
+    assert {r.b for r in got} == sizes and len(got) == 45 * len(sizes)
+    assert all(r.peak_qubits == max(r.d, max(1, (r.b - 1).bit_length()) + 1) for r in got)
