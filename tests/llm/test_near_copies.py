@@ -101,3 +101,47 @@ def test_pairs_that_bands_and_hubs_miss(spark, monkeypatch):
     assert len(pairs) > 60 and len(set(want.values())) > 30
     docs = spark.createDataFrame([(i, t, *[None] * 8) for i, t in data.items()], SCHEMA).repartition(4)
     assert {r.doc_id: r.component_id for r in near_copies.near_copies(docs).collect()} == want
+
+
+def test_parities_never_rule_out_a_similar_pair():
+    """Also where one text has twice the bins of the other."""
+    rng = random.Random(5)
+    seen = {True: 0, False: 0}
+    for n in (1, 3, 40, 500, 511, 513, 700, 1024, 1030, 4000):
+        base = prose(n, n + 4).split()
+        for share in (0.0, 0.01, 0.02, 0.03, 0.1, 0.5, 1.0):
+            other = [f"new{i}" if rng.random() < share else w for i, w in enumerate(base)] + prose(n + 1, n // 40).split()
+            x, y = ([w.encode() for w in words] for words in (base, other))
+            a, b = near_copies._hashes(x), near_copies._hashes(y)
+            said = near_copies.may_be_similar(len(a), near_copies.parities(a), len(b), near_copies.parities(b))
+            similar = near_copies.similarity(near_copies.shingles(x), near_copies.shingles(y)) >= 0.8
+            assert said or not similar
+            seen[similar] += not said
+    assert seen[True] == 0 and seen[False] > 30
+
+
+def test_texts_of_pairs_that_cannot_be_similar_stay(spark, monkeypatch):
+    """60 texts with one passage in common: their pairs meet in its shingles, but no text travels for them."""
+    passage, given, whole = prose(7, 60), [], near_copies.verified
+
+    def noted(pairs, texts):
+        given.append(pairs.count())
+        return whole(pairs, texts)
+
+    monkeypatch.setattr(near_copies, "verified", noted)
+    monkeypatch.setattr(near_copies, "COMMON_MOST", 1)
+    data = {i: prose(7000 + i, 150 + 15 * i) + " " + passage + " " + prose(8000 + i, 30) for i in range(60)}
+    data |= {100: edited(1, data[5], 2)}
+    docs = spark.createDataFrame([(i, t, *[None] * 8) for i, t in data.items()], SCHEMA).repartition(4)
+    got = {r.doc_id: r.component_id for r in near_copies.near_copies(docs).collect()}
+    assert got == {i: 5 if i == 100 else i for i in data} and given[1] < 10
+
+
+def test_common_shingles_are_told_in_a_share_of_the_texts(spark, monkeypatch):
+    """A passage in a quarter of the texts is found common, however small the least sample."""
+    monkeypatch.setattr(near_copies, "COMMON_TEXTS", 4)
+    passage = prose(7, 40)
+    texts = [prose(9000 + i, 60) + (" " + passage if i % 4 == 0 else "") for i in range(800)]
+    held = spark.createDataFrame([(near_copies.text_key(near_copies.words_of(t.encode())), t) for t in texts], "key string, text string")
+    common, _ = near_copies.common_shingles(held, len(texts))
+    assert set(near_copies._hashes(near_copies.words_of(passage.encode()))) <= set(common)
